@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from aggclust.llm import bpe_codec, token_counts
+from aggclust.llm import bpe_codec, pii, quality, token_counts
 
 
 def queries() -> dict:
     return {
+        "op3_pii": pii.op3_pii,
         "op7_token_counts": token_counts.op7_token_counts,
         "op8_bpe_codec": bpe_codec.op8_bpe_codec,
+        "op10_quality": quality.op10_quality,
     }
 
 
