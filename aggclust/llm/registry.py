@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
-from aggclust.llm import bpe_codec, pii, quality, token_counts
+from aggclust.llm import bpe_codec, mixing, pii, quality, sharding, token_counts
 
 
 def queries() -> dict:
     return {
         "op3_pii": pii.op3_pii,
+        "op6_sharding": sharding.op6_sharding,
         "op7_token_counts": token_counts.op7_token_counts,
         "op8_bpe_codec": bpe_codec.op8_bpe_codec,
+        "op9_mixing": mixing.op9_mixing,
         "op10_quality": quality.op10_quality,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op9_mixing": mixing.oracle()}
