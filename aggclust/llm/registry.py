@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from aggclust.llm import bpe_codec, mixing, pii, quality, sharding, token_counts
+from aggclust.llm import bpe_codec, fingerprints, mixing, pii, quality, sharding, token_counts
 
 
 def queries() -> dict:
     return {
+        "op1_fingerprints": fingerprints.op1_fingerprints,
         "op3_pii": pii.op3_pii,
         "op6_sharding": sharding.op6_sharding,
         "op7_token_counts": token_counts.op7_token_counts,
