@@ -128,18 +128,25 @@ def _few(df: DataFrame) -> DataFrame:
     return F.broadcast(df) if df.count() <= FEW else df
 
 
-def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-    """Per row doc_id and class_id; and the verified links a, b, similarity."""
+def nameless(mark="mark"):
+    return -F.shiftrightunsigned(F.xxhash64(mark), 1) - 1
+
+
+def digest(text_col: str = "text"):
+    return F.unhex(F.md5(F.coalesce(F.col(text_col).cast("string"), F.lit(""))))
+
+
+def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Rows (doc_id, mark), a class per distinct text (mark, node, class_id), and the verified links (a, b, similarity)."""
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.unhex(F.md5(text)).alias("mark"), text.alias("text"))
-    nameless = -F.shiftrightunsigned(F.xxhash64("mark"), 1) - 1
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), digest(text_col).alias("mark"), text.alias("text"))
     marked = cut(rows.mapInArrow(_sketch, "doc_id long, mark binary, bands array<long>"))
-    nodes = cut(marked.groupBy("mark").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands")).select("mark", F.coalesce("id", nameless).alias("node"), "bands"))
+    nodes = cut(marked.groupBy("mark").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands")).select("mark", F.coalesce("id", nameless()).alias("node"), "bands"))
     filed = nodes.select("node", F.explode("bands").alias("key"))
     heads = filed.groupBy("key").agg(F.min("node").alias("head"), F.max("node").alias("tail")).where("head < tail")
     shared = cut(filed.join(heads.select("key", "head"), "key"))
     wanted = _few(cut(shared.select("node").distinct()))
-    own = rows.select(F.coalesce("doc_id", nameless).alias("node"), "text")
+    own = rows.select(F.coalesce("doc_id", nameless()).alias("node"), "text")
     texts = cut(own.join(wanted, "node", "left_semi").groupBy("node").agg(F.first("text").alias("text")))
 
     def verified(pairs: DataFrame) -> DataFrame:
@@ -160,9 +167,25 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     links = links.unionByName(more)
     known = components(links.select("a", "b"))
     by_mark = nodes.join(known, "node", "left").select("mark", "node", F.coalesce("component", "node").alias("class_id"))
-    return marked.select("doc_id", "mark").join(by_mark, "mark").select("doc_id", "class_id"), links
+    return marked.select("doc_id", "mark"), cut(by_mark), links
+
+
+def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    """doc_id and class_id of every row, and the verified links."""
+    rows, by_mark, links = groups(docs, id_col, text_col)
+    return rows.join(by_mark, "mark").select("doc_id", "class_id"), links
+
+
+def keep_one(docs: DataFrame) -> DataFrame:
+    """One row of each class, all columns: the text of the class's smallest id, one of repeated rows."""
+    _, by_mark, _ = groups(docs)
+    chosen = by_mark.where(F.col("node") == F.col("class_id")).groupBy("class_id").agg(F.min("mark").alias("_mark"))
+    marked = docs.withColumns({"_mark": digest(), "_node": F.coalesce(F.col("doc_id").cast("long"), nameless(digest()))})
+    kept = marked.join(_few(cut(chosen.select(F.col("class_id").alias("_node"), "_mark"))), ["_node", "_mark"], "left_semi")
+    return kept.dropDuplicates(["_node", "_mark"]).drop("_node", "_mark")
 
 
 def op4_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, class_id (the smallest id of the class) and kept."""
     found, _ = classes(documents(spark, sf_dir))
-    return found.select("doc_id", "class_id", (F.col("doc_id") == F.col("class_id")).alias("kept"))
+    return found.select("doc_id", "class_id", F.coalesce(F.col("doc_id") == F.col("class_id"), F.lit(False)).alias("kept"))
