@@ -5,10 +5,11 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Code points handled together by one vectorised step; bounds the memory of a task.
+#: Bytes of text handled together by one vectorised step; bounds the memory of a task.
 SLAB = 1_000_000
 
 
@@ -16,16 +17,22 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-def slabs(texts: list[str], limit: int = SLAB) -> Iterator[tuple[int, int]]:
-    """Ranges of consecutive texts of at most ``limit`` code points, or of one longer text."""
+def slabs(column: pa.Array, limit: int = SLAB) -> Iterator[tuple[int, int, list[str]]]:
+    """Consecutive texts of at most ``limit`` bytes, or one longer text, as Python strings.
+
+    Only one slab is decoded at a time, and what Arrow freed goes back to the system, so a worker
+    that lives through many stages stays small.
+    """
+    sizes = pc.binary_length(column).to_pylist()
     begin = size = 0
-    for at, text in enumerate(texts):
-        if at > begin and size + len(text) > limit:
-            yield begin, at
+    for at, n in enumerate(sizes):
+        if at > begin and size + n > limit:
+            yield begin, at, column.slice(begin, at - begin).to_pylist()
             begin, size = at, 0
-        size += len(text)
-    if begin < len(texts):
-        yield begin, len(texts)
+        size += n
+    if begin < len(sizes):
+        yield begin, len(sizes), column.slice(begin).to_pylist()
+    pa.default_memory_pool().release_unused()
 
 
 def per_document(
@@ -46,9 +53,9 @@ def per_document(
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = None
         for batch in batches:
-            ids, texts = batch.column(0), batch.column(1).to_pylist()
-            for begin, end in slabs(texts):
-                cols = work(texts[begin:end])
+            ids = batch.column(0)
+            for begin, end, texts in slabs(batch.column(1)):
+                cols = work(texts)
                 names = names or [part.strip().split(" ")[0] for part in schema.split(",")]
                 yield pa.RecordBatch.from_arrays([ids.slice(begin, end - begin), *(pa.array(c) for c in cols)], names=["doc_id", *names])
 

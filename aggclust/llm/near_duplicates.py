@@ -8,9 +8,12 @@ register with the probability of their probability Jaccard similarity (the plain
 similarity where no shingle repeats).  Texts that agree in a whole band are candidates.
 
 Candidates are verified on whole texts, in two rounds.  First every text of a bucket against the
-bucket's smallest id, which links groups of copies without listing their pairs.  Then, of the
-buckets that still hold texts of several classes, all pairs across classes: no candidate pair is
-left out but those that are already in one class.
+bucket's smallest id, which links groups of copies without listing their pairs.  Then the buckets
+that still hold texts of several classes are dealt out in pairs of tiles; a task goes through all
+pairs across classes of its tiles, drops those whose registers agree in less than ``LEAST`` of
+the cases (a similarity of 0.8 misses this with a probability below 1e-5), verifies the others,
+nearest first, and returns only links that join classes.  A pair that shares several buckets is
+looked at in the first.  No pair list leaves a task, however large a bucket is.
 
 Defined cases: a null text is empty; texts without words are near only to equal texts; texts of
 fewer than five words are one shingle; texts with the same smallest id are one document; a text
@@ -33,7 +36,7 @@ from aggclust.llm.fingerprints import mix
 from aggclust.llm.shingles import WORDS, shingles
 
 SIMILARITY, ROWS, BANDS = 0.8, 5, 22
-SLAB, FEW = 2_000_000, 2_000_000
+SLAB, FEW, TILE, LEAST = 500_000, 2_000_000, 512, 0.62
 _ARRIVAL, _TURN = np.uint64(0xD1B54A32D192ED03), np.uint64(0x8CB92BA72F3D8DD7)
 
 
@@ -72,9 +75,7 @@ def bands(who: np.ndarray, rows: int, count: int) -> np.ndarray:
 
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        texts = batch.column(2).to_pylist()
-        for lo, hi in slabs(texts, SLAB):
-            part = texts[lo:hi]
+        for lo, hi, part in slabs(batch.column(2), SLAB):
             owner, digest, n = shingles(part)
             keys = bands(probminhash(owner, digest, n, len(part), ROWS * BANDS), ROWS, BANDS)
             some = np.bincount(owner, minlength=len(part)) > 0
@@ -82,6 +83,15 @@ def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([*(batch.column(c).slice(lo, hi - lo) for c in (0, 1)), pa.array(rows, pa.list_(pa.int64()))], names=["doc_id", "mark", "bands"])
 
 
+def _register(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """node, text -> also the registers, 32 bits of each."""
+    for batch in batches:
+        for lo, hi, part in slabs(batch.column(1), SLAB):
+            owner, digest, n = shingles(part)
+            who = probminhash(owner, digest, n, hi - lo, ROWS * BANDS).astype(np.uint32)
+            yield pa.RecordBatch.from_arrays([*(c.slice(lo, hi - lo) for c in batch.columns), pa.array([w.tobytes() for w in who], pa.binary())], names=["node", "text", "registers"])
+
+
 def probability_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
     """Of two sorted (digests, weights): sum over common d of 1 / sum over e of max(a_e / a_d, b_e / b_d)."""
     (ka, wa), (kb, wb) = a, b
@@ -123,6 +133,56 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             at = to
 
 
+def _block(table: pa.Table) -> pa.Table:
+    """Links that join classes, among the texts of one pair of tiles of one bucket."""
+    table = table.combine_chunks()
+    node, side = table["node"].to_numpy(), table["side"].to_numpy()
+    band, same = table["band"][0].as_py(), table["i"][0].as_py() == table["j"][0].as_py()
+    who = np.frombuffer(b"".join(table["registers"].to_pylist()), np.uint32).reshape(len(node), -1)
+    classes, part = np.unique(table["component"].to_numpy(), return_inverse=True)
+    left = np.flatnonzero(side == 0)
+    right = left if same else np.flatnonzero(side == 1)
+    found = []
+    for at in range(0, len(left), 32):
+        rows = left[at : at + 32]
+        equal = who[rows][:, None, :] == who[right][None, :, :]
+        est = equal.mean(2)
+        x, y = np.nonzero((est >= LEAST) & (part[rows][:, None] != part[right][None, :]))
+        if same:
+            up = rows[x] < right[y]
+            x, y = x[up], y[up]
+        if len(x):
+            shared = equal[x, y].reshape(len(x), BANDS, ROWS).all(2)
+            first = shared.argmax(1) == band
+            found.append((est[x[first], y[first]], rows[x[first]], right[y[first]]))
+    out: list[tuple] = []
+    if found:
+        est, x, y = (np.concatenate(c) for c in zip(*found))
+        order = np.argsort(-est, kind="stable")
+        used = np.unique(np.concatenate([x, y]))
+        texts = table["text"].take(pa.array(used)).to_pylist()
+        owner, digest, n = shingles(texts)
+        bound = np.searchsorted(owner, np.arange(len(texts) + 1))
+        sets = {int(u): (digest[s:e], n[s:e].astype(float)) for u, s, e in zip(used, bound, bound[1:])}
+        root = list(range(len(classes)))
+
+        def top(c: int) -> int:
+            while root[c] != c:
+                root[c] = root[root[c]]
+                c = root[c]
+            return c
+
+        for p, q in zip(x[order].tolist(), y[order].tolist()):
+            a, b = top(part[p]), top(part[q])
+            if a != b:
+                near = probability_jaccard(sets[p], sets[q])
+                if near >= SIMILARITY - 1e-9:
+                    root[max(a, b)] = min(a, b)
+                    out.append((min(node[p], node[q]), max(node[p], node[q]), near))
+    a, b, near = zip(*out) if out else ((), (), ())
+    return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64()), "similarity": pa.array(near, pa.float64())})
+
+
 def _few(df: DataFrame) -> DataFrame:
     """A broadcast of at most ``FEW`` ids (16 MB); beyond that the join shuffles."""
     return F.broadcast(df) if df.count() <= FEW else df
@@ -142,12 +202,13 @@ def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> t
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), digest(text_col).alias("mark"), text.alias("text"))
     marked = cut(rows.mapInArrow(_sketch, "doc_id long, mark binary, bands array<long>"))
     nodes = cut(marked.groupBy("mark").agg(F.min("doc_id").alias("id"), F.first("bands").alias("bands")).select("mark", F.coalesce("id", nameless()).alias("node"), "bands"))
-    filed = nodes.select("node", F.explode("bands").alias("key"))
+    filed = nodes.select("node", F.posexplode("bands").alias("band", "key"))
     heads = filed.groupBy("key").agg(F.min("node").alias("head"), F.max("node").alias("tail")).where("head < tail")
     shared = cut(filed.join(heads.select("key", "head"), "key"))
     wanted = _few(cut(shared.select("node").distinct()))
     own = rows.select(F.coalesce("doc_id", nameless()).alias("node"), "text")
-    texts = cut(own.join(wanted, "node", "left_semi").groupBy("node").agg(F.first("text").alias("text")))
+    texts = own.join(wanted, "node", "left_semi").groupBy("node").agg(F.first("text").alias("text"))
+    texts = cut(texts.mapInArrow(_register, "node long, text string, registers binary"))
 
     def verified(pairs: DataFrame) -> DataFrame:
         left = texts.select(F.col("node").alias("a"), F.col("text").alias("left"))
@@ -158,12 +219,12 @@ def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> t
     stars = cut(shared.where("node > head").select(F.col("head").alias("a"), F.col("node").alias("b")).distinct())
     links = verified(stars)
     known = components(links.select("a", "b"))
-    placed = shared.select("key", "node").join(known, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("key")
-    open_rows = cut(placed.join(mixed, "key"))
-    one, two = (open_rows.select("key", F.col("node").alias(x), F.col("component").alias(c)) for x, c in (("a", "ca"), ("b", "cb")))
-    across = one.join(two, "key").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb"))).select("a", "b").distinct()
-    more = verified(across.join(stars, ["a", "b"], "left_anti"))
+    placed = shared.select("key", "band", "node").join(known, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("all")).where("lo < hi")
+    dealt = placed.join(mixed.select("key", F.ceil(F.col("all") / TILE).cast("int").alias("tiles")), "key")
+    dealt = dealt.withColumn("own", F.pmod(F.xxhash64("node"), F.col("tiles")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
+    dealt = dealt.select("key", "band", "node", "component", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), (F.col("own") > F.col("other")).cast("int").alias("side"))
+    more = cut(dealt.join(texts, "node").groupBy("key", "i", "j").applyInArrow(_block, "a long, b long, similarity double"))
     links = links.unionByName(more)
     known = components(links.select("a", "b"))
     by_mark = nodes.join(known, "node", "left").select("mark", "node", F.coalesce("component", "node").alias("class_id"))
