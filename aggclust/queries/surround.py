@@ -232,9 +232,6 @@ def threshold_guess(spark, sf):
     return v.agg(*(F.percentile_approx(c, [0.25, 0.75], 1000).alias(c) for c in L5), F.approx_count_distinct("p").alias("distinct_p")).select(*((F.col(c)[1] - F.col(c)[0]).alias(c) for c in L5), "distinct_p")
 
 
-_RUN = "SELECT user_id, event_id, value, row_number() OVER w AS at FROM events WHERE user_id < 10 WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)"
-
-
 @query("running_cf", "SELECT event_id, count(*) OVER w AS n, round(avg(value) OVER w, 6) AS mean, round(var_pop(value * 1.0371) OVER w, 5) AS variance FROM events WHERE user_id < 10 WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING)")
 def running_cf(spark, sf):
     return _windowed(spark, sf, Window.unboundedPreceding)
