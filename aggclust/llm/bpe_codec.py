@@ -27,7 +27,7 @@ from aggclust.llm import pretokenize
 from aggclust.llm.batches import documents, per_document
 from aggclust.llm.merging import TwoPart, merge_linked
 
-CACHE = 300_000
+CACHE = 100_000
 
 
 class Codec:
@@ -40,6 +40,7 @@ class Codec:
             self.pieces[rank] = piece
         self.decimals = [str(i) for i in range(len(self.pieces))]
         self.lengths = np.array([len(p or b"") for p in self.pieces], np.int64)
+        self.ids = list(range(len(self.pieces)))  # one object per id, however many pieces hold it
         self.single = [ranks[bytes([b])] for b in range(256)]
         # Every way in which two tokens join to a third.
         self.joins = {ranks[p[:i]] << 20 | ranks[p[i:]]: r for p, r in ranks.items() for i in range(1, len(p)) if p[:i] in ranks and p[i:] in ranks}
@@ -49,7 +50,7 @@ class Codec:
         raw = piece.encode("utf-8")
         if raw in self.ranks:
             return (self.ranks[raw],)
-        return tuple(merge_linked([self.single[b] for b in raw], self.joins, 20, 0)[0])
+        return tuple(map(self.ids.__getitem__, merge_linked([self.single[b] for b in raw], self.joins, 20, 0)[0]))
 
     def encode(self, texts: list[str]) -> Iterator[list[int]]:
         """Ids of each text in turn."""

@@ -18,12 +18,12 @@ from dataclasses import dataclass
 from functools import lru_cache
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from aggclust.llm.batches import documents
+from aggclust.llm.batches import documents, slabs
 
 PER_CLASS, FIT_BYTES, DICTIONARY, BLOCK, LEVEL, THRESHOLD = 3000, 16_384, 112_640, 4096, 3, 0.3
 
@@ -115,9 +115,10 @@ def score_texts(model: Model, texts: list[str | None]) -> np.ndarray:
 def scorer(model: Model):
     """A function of a text column that gives its score."""
 
-    @F.pandas_udf("double")
-    def score(texts: pd.Series) -> pd.Series:
-        return pd.Series(score_texts(model, texts.tolist()))
+    @F.arrow_udf("double")
+    def score(texts: pa.Array) -> pa.Array:
+        parts = [score_texts(model, part) for _, _, part in slabs(texts)]
+        return pa.array(np.concatenate(parts) if parts else np.zeros(0), pa.float64())
 
     return score
 
@@ -140,13 +141,13 @@ def learn(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Mod
 
 
 def quality_scores(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
-    scored = docs.select(F.col("doc_id").cast("long").alias("doc_id"), scorer(model)(F.col("text")).alias("score"))
+    scored = docs.select(F.col("doc_id").cast("long").alias("doc_id"), scorer(model)(F.coalesce(F.col("text"), F.lit(""))).alias("score"))
     return scored.select("doc_id", held_out("doc_id").alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
 def keep_good(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
     """The rows of ``docs``, all columns, that the classifier accepts."""
-    return docs.where(scorer(model)(F.col("text")) >= threshold)
+    return docs.where(scorer(model)(F.coalesce(F.col("text"), F.lit(""))) >= threshold)
 
 
 def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
