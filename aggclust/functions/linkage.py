@@ -87,14 +87,15 @@ def coefficient_table(spark: SparkSession, na: float, nb: float, nc: float) -> D
 
 
 def linkage_between(points: DataFrame, group: str, vec: str, name: str, squared: bool = False) -> DataFrame:
-    """The linkage of every two groups of points, by definition.
+    """The linkage of every two groups of points.
 
-    Single, complete and average need the cross pairs of the two groups (the cost the closed forms
-    on features avoid); the centroid and Ward forms need only counts and means.
+    Centroid, Ward and the mean of squared distances follow from counts, means and squared
+    deviations; single, complete and the mean distance need the cross pairs, taken in blocks.
     """
     from aggclust.functions.features import gap, square_norm
+    from aggclust.operators.blocks import group_linkage
 
-    if name in ("upgmc", "ward"):
+    if name in ("upgmc", "ward") or (name == "upgma" and squared):
         from aggclust.functions.features import cf_agg
 
         d = len(points.select(vec).first()[0])
@@ -102,9 +103,7 @@ def linkage_between(points: DataFrame, group: str, vec: str, name: str, squared:
         feats = cf_agg(flat, [group], [f"_{i}" for i in range(d)])
         a, b = feats.select(F.col(group).alias("a"), F.col("cf").alias("x")), feats.select(F.col(group).alias("b"), F.col("cf").alias("y"))
         d2 = square_norm(gap(F.col("x.mu"), F.col("y.mu")))
-        value = d2 if name == "upgmc" else 2 * F.col("x.n") * F.col("y.n") / (F.col("x.n") + F.col("y.n")) * d2
+        within = F.col("x.sse") / F.col("x.n") + F.col("y.sse") / F.col("y.n")
+        value = {"upgmc": d2, "ward": 2 * F.col("x.n") * F.col("y.n") / (F.col("x.n") + F.col("y.n")) * d2, "upgma": within + d2}[name]
         return a.join(b, F.col("a") < F.col("b")).select("a", "b", value.alias("d"))
-    how = {"single": F.min, "complete": F.max, "upgma": F.avg}[name]
-    a, b = points.select(F.col(group).alias("a"), F.col(vec).alias("x")), points.select(F.col(group).alias("b"), F.col(vec).alias("y"))
-    d2 = square_norm(gap(F.col("x"), F.col("y")))
-    return a.join(b, F.col("a") < F.col("b")).groupBy("a", "b").agg(how(d2 if squared else F.sqrt(d2)).alias("d"))
+    return group_linkage(points, group, vec, name, squared)

@@ -198,12 +198,11 @@ for _k, _s in _BRUTE.items():
 
 # ---- linkages
 
-_GROUP = "SELECT c_custkey % 6 AS g, c_acctbal / 1000 AS x, c_custkey / 1000.0 AS y FROM customer WHERE c_custkey <= 120"
+_GROUP = "SELECT c_custkey % 6 AS g, c_acctbal / 1000 AS x, c_custkey / 1000.0 AS y FROM customer"
 
 
 def groups(spark, sf) -> DataFrame:
-    c = T(spark, sf, "customer").where("c_custkey <= 120")
-    return c.select((F.col("c_custkey") % 6).alias("g"), F.array(F.col("c_acctbal") / 1000, F.col("c_custkey") / 1000).alias("vec"))
+    return T(spark, sf, "customer").select((F.col("c_custkey") % 6).alias("g"), F.array(F.col("c_acctbal") / 1000, F.col("c_custkey") / 1000).alias("vec"))
 
 
 _BETWEEN = {
