@@ -192,15 +192,15 @@ def pairs_within_eps(spark, sf):
 _WIN = "SELECT event_id, user_id, ts, value, CAST(floor(epoch(ts)) AS BIGINT) // 3600 AS h FROM events"
 
 
-@query("asof_event", f"WITH w AS (SELECT h, count(*) AS n, avg(value) AS m FROM ({_WIN}) GROUP BY h) SELECT event_id, (SELECT max(w.h) FROM w WHERE w.h < e.h) AS h, round((SELECT arg_max(w.m, w.h) FROM w WHERE w.h < e.h), 6) AS mean FROM ({_WIN}) e WHERE user_id < 20")
+@query("asof_event", f"WITH w AS (SELECT h, count(*) AS n, avg(value) AS m FROM ({_WIN}) GROUP BY h) SELECT event_id, (SELECT max(w.h) FROM w WHERE w.h < e.h) AS h, round((SELECT arg_max(w.m, w.h) FROM w WHERE w.h < e.h), 6) AS mean FROM ({_WIN}) e")
 def asof_event(spark, sf):
-    """Each event of some users with the feature of the last hour before it that has any events."""
+    """Each event with the feature of the last hour before it that has any events."""
     e = T(spark, sf, "events").withColumn("h", F.floor(F.unix_timestamp("ts") / 3600).cast("long"))
     w = ft.cf_agg(e, ["h"], ["value"])
     # Hours in order: one row each, so the window's single partition is bounded by the time span.
     before = Window.orderBy("h")
     w = w.select("h", F.lag("h").over(before).alias("prev"), F.lag(F.col("cf.mu")[0]).over(before).alias("mean"))
-    return e.where("user_id < 20").join(w, "h").select("event_id", F.col("prev").alias("h"), F.round("mean", 6).alias("mean"))
+    return e.join(w, "h").select("event_id", F.col("prev").alias("h"), F.round("mean", 6).alias("mean"))
 
 
 @query("interval_events", f"WITH w AS (SELECT g AS lo, g + 86400 * 7 AS hi FROM (SELECT unnest(generate_series((SELECT (min(epoch(ts))::BIGINT // 86400) * 86400 FROM events), (SELECT max(epoch(ts))::BIGINT FROM events), 86400)) AS g)) SELECT lo, count(*) AS n, round(avg(value), 5) AS mean FROM w JOIN events ON epoch(ts) >= lo AND epoch(ts) < hi GROUP BY lo")
@@ -232,12 +232,12 @@ def threshold_guess(spark, sf):
     return v.agg(*(F.percentile_approx(c, [0.25, 0.75], 1000).alias(c) for c in L5), F.approx_count_distinct("p").alias("distinct_p")).select(*((F.col(c)[1] - F.col(c)[0]).alias(c) for c in L5), "distinct_p")
 
 
-@query("running_cf", "SELECT event_id, count(*) OVER w AS n, round(avg(value) OVER w, 6) AS mean, round(var_pop(value * 1.0371) OVER w, 5) AS variance FROM events WHERE user_id < 10 WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING)")
+@query("running_cf", "SELECT event_id, count(*) OVER w AS n, round(avg(value) OVER w, 6) AS mean, round(var_pop(value * 1.0371) OVER w, 5) AS variance FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING)")
 def running_cf(spark, sf):
     return _windowed(spark, sf, Window.unboundedPreceding)
 
 
-@query("sliding_cf", "SELECT event_id, count(*) OVER w AS n, round(avg(value) OVER w, 6) AS mean, round(var_pop(value * 1.0371) OVER w, 5) AS variance FROM events WHERE user_id < 10 WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 9 PRECEDING AND CURRENT ROW)")
+@query("sliding_cf", "SELECT event_id, count(*) OVER w AS n, round(avg(value) OVER w, 6) AS mean, round(var_pop(value * 1.0371) OVER w, 5) AS variance FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 9 PRECEDING AND CURRENT ROW)")
 def sliding_cf(spark, sf):
     return _windowed(spark, sf, -9)
 
@@ -245,7 +245,7 @@ def sliding_cf(spark, sf):
 def _windowed(spark, sf, start: int) -> DataFrame:
     w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(start, 0)
     n = F.count("*").over(w)
-    return T(spark, sf, "events").where("user_id < 10").select("event_id", n.alias("n"), F.round(F.avg("value").over(w), 6).alias("mean"), F.round(F.var_pop(F.col("value") * 1.0371).over(w), 5).alias("variance"))
+    return T(spark, sf, "events").select("event_id", n.alias("n"), F.round(F.avg("value").over(w), 6).alias("mean"), F.round(F.var_pop(F.col("value") * 1.0371).over(w), 5).alias("variance"))
 
 
 @query("union_cfs", f"SELECT n_regionkey AS r, count(*)::DOUBLE AS n, round(avg(v), 6) AS mu0, round(count(*) * var_pop(v), 3) AS sse FROM (SELECT c_nationkey AS k, c_acctbal / 1000 AS v FROM customer UNION ALL SELECT s_nationkey, s_acctbal / 1000 FROM supplier) JOIN nation ON k = n_nationkey GROUP BY n_regionkey")
@@ -332,9 +332,9 @@ query("cf_sliding", f"SELECT (CAST(floor(epoch(ts)) AS BIGINT) // 21600 - s) * 2
 _CFV4 = "count(*)::DOUBLE AS n, round(avg(value), 4) AS mu0, round(count(*) * var_pop(value * 1.0371), 5) AS sse"
 
 
-@query("cf_session", f"WITH g AS (SELECT *, CASE WHEN epoch(ts) - lag(epoch(ts)) OVER w < 7200 THEN 0 ELSE 1 END AS fresh FROM events WHERE user_id < 30 WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS sid FROM g) SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start, {_CFV4} FROM s GROUP BY user_id, sid")
+@query("cf_session", f"WITH g AS (SELECT *, CASE WHEN epoch(ts) - lag(epoch(ts)) OVER w < 7200 THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS sid FROM g) SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start, {_CFV4} FROM s GROUP BY user_id, sid")
 def cf_session(spark, sf):
-    e = T(spark, sf, "events").where("user_id < 30").withColumn("w", F.session_window("ts", "2 hours"))
+    e = T(spark, sf, "events").withColumn("w", F.session_window("ts", "2 hours"))
     # Scaled, so that sums of squares of two-decimal values do not end on a rounding tie.
     c = ft.cf_agg(e.withColumn("x", F.col("value") * 1.0371), ["user_id", "w"], ["x"])
     return c.select("user_id", F.unix_timestamp(F.col("w.start")).alias("start"), "cf.n", F.round(F.col("cf.mu")[0] / 1.0371, 4).alias("mu0"), F.round("cf.sse", 5).alias("sse"))

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from aggclust.functions import linkage as link
 from aggclust.operators import blocks
-from aggclust.queries import basics
+from aggclust.queries import basics, surround
 
 
 def points(spark, n=200, d=3, copies=20):
@@ -35,3 +35,13 @@ def test_linkage_over_many_tiles(spark, name, monkeypatch):
     g = np.arange(len(x)) % 4
     for r in link.linkage_between(df.select("g", "v"), "g", "v", name).collect():
         assert r.d == pytest.approx(link.closed_form(name, x[g == r.a], x[g == r.b]))
+
+
+def test_event_features_cover_every_user(spark, tmp_path):
+    rows = [(u * 10 + i, u, f"2024-01-01 {i * 3:02d}:00:00", float(i)) for u in (1, 25, 500) for i in range(5)]
+    e = spark.createDataFrame(rows, "event_id long, user_id long, ts string, value double")
+    e.withColumn("ts", F.col("ts").cast("timestamp_ntz")).write.parquet(f"{tmp_path}/events.parquet")
+    for q in ("running_cf", "sliding_cf", "asof_event"):
+        assert {r.event_id for r in surround.QUERIES[q](spark, str(tmp_path)).collect()} == {r[0] for r in rows}
+    # Three hours apart, every event is a session of its own.
+    assert sorted(r.user_id for r in surround.QUERIES["cf_session"](spark, str(tmp_path)).collect()) == sorted(r[1] for r in rows)
