@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from aggclust.functions import cfdist, features as ft
-from aggclust.operators import quality, rounds
+from aggclust.operators import blocks, quality, rounds
 from aggclust.queries.basics import L5, LINE5_SQL, NATION2, T, flat, nation_cf2
 from aggclust.sources import points as src
 from aggclust.sources import storage
@@ -122,40 +122,32 @@ def join_orders_customer(spark, sf):
     return o.join(c.hint("merge"), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count("*").alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
 
 
-_EMB = "WITH e AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings WHERE vec_id < 200)"
+_EMB = "WITH e AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings)"
 _PAIR = "list_sum(list_transform(list_zip(a.v, b.v), lambda z: (z[1] - z[2]) * (z[1] - z[2])))"
 
 
-def _embeddings(spark, sf, below: int = 200) -> DataFrame:
-    return T(spark, sf, "embeddings").where(F.col("vec_id") < below).select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
-
-
-def _embedding_pairs(spark, sf) -> DataFrame:
-    e = _embeddings(spark, sf)
-    a, b = e.select(F.col("vec_id").alias("i"), F.col("v").alias("x")), e.select(F.col("vec_id").alias("j"), F.col("v").alias("y"))
-    return a.join(b, F.col("i") < F.col("j")).select("i", "j", F.sqrt(ft.square_norm(ft.gap(F.col("x"), F.col("y")))).alias("d"))
+def _embeddings(spark, sf) -> DataFrame:
+    return T(spark, sf, "embeddings").select("vec_id", "embedding")
 
 
 @query("pairwise_embeddings", f"{_EMB} SELECT count(*) AS pairs, round(min(d), 5) AS low, round(avg(d), 5) AS mean FROM (SELECT sqrt({_PAIR}) AS d FROM e a JOIN e b ON a.vec_id < b.vec_id)")
 def pairwise_embeddings(spark, sf):
-    return _embedding_pairs(spark, sf).agg(F.count("*").alias("pairs"), F.round(F.min("d"), 5).alias("low"), F.round(F.avg("d"), 5).alias("mean"))
+    return blocks.spread(_embeddings(spark, sf), "vec_id", "embedding").select("pairs", F.round("low", 5).alias("low"), F.round("mean", 5).alias("mean"))
 
 
 @query("closest_pairs", f"{_EMB} SELECT a.vec_id AS i, b.vec_id AS j, round(sqrt({_PAIR}), 5) AS d FROM e a JOIN e b ON a.vec_id < b.vec_id ORDER BY sqrt({_PAIR}), 1, 2 LIMIT 20")
 def closest_pairs(spark, sf):
-    return _embedding_pairs(spark, sf).orderBy("d", "i", "j").limit(20).select("i", "j", F.round("d", 5).alias("d"))
+    return blocks.closest(_embeddings(spark, sf), "vec_id", "embedding", 20).select("i", "j", F.round("d", 5).alias("d"))
 
 
 @query("nearest_neighbour", f"{_EMB} SELECT a.vec_id AS u, arg_min(b.vec_id, {_PAIR}) AS v, round(sqrt(min({_PAIR})), 5) AS d FROM e a JOIN e b ON a.vec_id <> b.vec_id GROUP BY a.vec_id")
 def nearest_neighbour(spark, sf):
-    return rounds.nearest_neighbours(_embedding_pairs(spark, sf)).select("u", "v", F.round("d", 5).alias("d"))
+    return blocks.nearest(_embeddings(spark, sf), "vec_id", "embedding", 1).select("u", "v", F.round("d", 5).alias("d"))
 
 
 @query("knn_rank", f"{_EMB} SELECT i, j, rank FROM (SELECT a.vec_id AS i, b.vec_id AS j, CAST(row_number() OVER (PARTITION BY a.vec_id ORDER BY {_PAIR}, b.vec_id) AS INTEGER) AS rank FROM e a JOIN e b ON a.vec_id <> b.vec_id) WHERE rank <= 3")
 def knn_rank(spark, sf):
-    p = _embedding_pairs(spark, sf)
-    both = p.unionByName(p.select(F.col("j").alias("i"), F.col("i").alias("j"), "d"))
-    return both.withColumn("rank", F.row_number().over(Window.partitionBy("i").orderBy("d", "j"))).where("rank <= 3").select("i", "j", "rank")
+    return blocks.nearest(_embeddings(spark, sf), "vec_id", "embedding", 3).select(F.col("u").alias("i"), F.col("v").alias("j"), "rank")
 
 
 @query("vector_norms", "SELECT vec_id, round(sqrt(list_sum(list_transform(CAST(embedding AS DOUBLE[]), lambda x: x * x))), 6) AS norm, CAST(len(embedding) AS INTEGER) AS d FROM embeddings")

@@ -45,3 +45,20 @@ def test_event_features_cover_every_user(spark, tmp_path):
         assert {r.event_id for r in surround.QUERIES[q](spark, str(tmp_path)).collect()} == {r[0] for r in rows}
     # Three hours apart, every event is a session of its own.
     assert sorted(r.user_id for r in surround.QUERIES["cf_session"](spark, str(tmp_path)).collect()) == sorted(r[1] for r in rows)
+
+
+@pytest.mark.parametrize("tile", [48, 4096])
+def test_vector_queries_use_every_row(spark, tmp_path, tile, monkeypatch):
+    monkeypatch.setattr(blocks.block_pairs, "__defaults__", (tile,))
+    x, _, _ = points(spark, 450, 8)
+    x = x.astype(np.float32).astype(float)
+    dist = np.sqrt(((x[:, None] - x[None]) ** 2).sum(-1))
+    spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    run = lambda q: surround.QUERIES[q](spark, str(tmp_path)).collect()
+    every = sorted((dist[i, j], i, j) for i in range(450) for j in range(i + 1, 450))
+    got = run("pairwise_embeddings")[0]
+    assert (got.pairs, got.low) == (len(every), 0.0) and got["mean"] == pytest.approx(np.mean([d for d, *_ in every]), abs=1e-5)
+    assert [(r.i, r.j) for r in run("closest_pairs")] == [(i, j) for _, i, j in every[:20]]
+    order = [sorted((dist[i, j], j) for j in range(450) if j != i) for i in range(450)]
+    assert {r.u: r.v for r in run("nearest_neighbour")} == {i: o[0][1] for i, o in enumerate(order)}
+    assert {(r.i, r.rank): r.j for r in run("knn_rank")} == {(i, k + 1): o[k][1] for i, o in enumerate(order) for k in range(3)}
