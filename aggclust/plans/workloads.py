@@ -3,8 +3,11 @@
 from __future__ import annotations
 
 import time
+from functools import lru_cache
+from zlib import crc32
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -139,23 +142,41 @@ def against_kmeans(spark, sf_dir, gen="mix5", n=1000, k=20, seed=1) -> DataFrame
     return spark.createDataFrame([("ward", float(ward)), ("kmeans", float(best))], "method string, rmsd double")
 
 
-def exploration(spark, sf_dir) -> DataFrame:
-    """W12: hierarchies of other tables: the heights' spread of each."""
+def bags(docs: DataFrame, d: int = 32) -> DataFrame:
+    """id and vec of documents (k, text): percent of the words in each of ``d`` hash buckets."""
+
+    def run(batches):
+        bucket = lru_cache(65_536)(lambda word: crc32(word.encode()) % d)
+        for b in batches:
+            counts = [np.bincount([bucket(w) for w in (t or "").split()], minlength=d) for t in b.column(1).to_pylist()]
+            vec = [(c * (100 / max(1, c.sum()))).tolist() for c in counts]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(vec, pa.list_(pa.float64()))], names=["id", "vec"])
+
+    return docs.select(F.col("k").cast("long").alias("k"), "text").mapInArrow(run, "id long, vec array<double>")
+
+
+def exploration(spark, sf_dir, cap=1000, partitions=8) -> DataFrame:
+    """W12: the points, and the heights' spread, of hierarchies of other tables, each compressed as a whole."""
     t = lambda name: src.table(spark, sf_dir, name)
+    ends = lambda df, *cols: df.select(F.col("k").cast("long").alias("id"), F.array(*(F.coalesce(F.col(c).cast("double"), F.lit(0.0)) for c in cols)).alias("vec"))
+    roles = ("user", "assistant", "system")
+    chars = [F.sum(F.when(F.col("role") == r, F.length("text") / 100)).alias(r) for r in roles]
+    other = F.sum(F.when(~F.coalesce(F.col("role").isin(*roles), F.lit(False)), F.length("text") / 100)).alias("other")
     frames = {
-        "nations": (t("customer").groupBy(F.col("c_nationkey").alias("k")).agg(F.avg("c_acctbal").alias("a"), F.count("*").cast("double").alias("b")), ["a", "b"]),
-        "users": (t("events").groupBy(F.col("user_id").alias("k")).agg(F.avg("value").alias("a"), F.count("*").cast("double").alias("b")), ["a", "b"]),
-        "parts": (t("part").where("p_partkey <= 300").select(F.col("p_partkey").alias("k"), F.col("p_size").cast("double").alias("a"), (F.col("p_retailprice") / 100).alias("b")), ["a", "b"]),
-        "pages": (t("pages").where("page_id < 300").select(F.col("page_id").alias("k"), F.length("url").cast("double").alias("a"), (F.length("html") / 100).cast("double").alias("b")), ["a", "b"]),
+        "nations": (ends(t("customer").groupBy(F.col("c_nationkey").alias("k")).agg(F.avg("c_acctbal").alias("a"), F.count("*").alias("b")), "a", "b"), 2),
+        "suppliers": (ends(t("supplier").select(F.col("s_suppkey").alias("k"), (F.col("s_acctbal") / 100).alias("a"), F.col("s_nationkey").alias("b")), "a", "b"), 2),
+        "users": (ends(t("events").groupBy(F.col("user_id").alias("k")).agg(F.avg("value").alias("a"), F.count("*").alias("b")), "a", "b"), 2),
+        "parts": (ends(t("part").select(F.col("p_partkey").alias("k"), F.col("p_size").alias("a"), (F.col("p_retailprice") / 100).alias("b")), "a", "b"), 2),
+        "pages": (ends(t("pages").select(F.col("page_id").alias("k"), F.length("url").alias("a"), (F.length("html") / 100).alias("b")), "a", "b"), 2),
+        "embeddings": (t("embeddings").select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").cast("array<double>").alias("vec")), 64),
+        "documents": (bags(t("documents").select(F.col("doc_id").alias("k"), "text")), 32),
+        "conversations": (ends(t("conversations").groupBy(F.col("conv_id").alias("k")).agg(*chars, other), *roles, "other"), 4),
     }
-    from pyspark.sql import Window
-
     out = None
-    for name, (df, cols) in frames.items():
-        ident = F.row_number().over(Window.orderBy("k")).cast("long") - 1
-        items = df.select(ident.alias("cf_id"), F.lit(1.0).alias("n"), F.array(*cols).alias("mu"), F.lit(0.0).alias("sse"))
-        m = pl.hierarchy(items, "full", "cached", "ward").agg(F.count("*").alias("merges"), F.max("height").alias("top"), F.expr("percentile_approx(height, 0.5)").alias("median"))
-        m = m.select(F.lit(name).alias("table"), "*")
+    for name, (points, d) in frames.items():
+        items = cut_lineage(compress(points.withColumn("w", F.lit(1.0)), d, max_leaves=cap, kind="D4", partitions=partitions).select("cf_id", "n", "mu", "sse"))
+        m = pl.hierarchy(items, "cf_linkage", "chain_linear", "ward").agg(F.count("*").alias("merges"), F.max("height").alias("top"), F.expr("percentile_approx(height, 0.5)").alias("median"))
+        m = m.crossJoin(items.agg(F.sum("n").alias("points"))).select(F.lit(name).alias("table"), "*")
         out = m if out is None else out.unionByName(m)
     return out
 

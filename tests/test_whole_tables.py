@@ -1,11 +1,14 @@
 """Queries use every row of their tables, and blocks of pairs equal brute force."""
 
+import os
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from aggclust.functions import linkage as link
 from aggclust.operators import blocks
+from aggclust.plans import workloads
 from aggclust.queries import basics, surround
 
 
@@ -62,3 +65,14 @@ def test_vector_queries_use_every_row(spark, tmp_path, tile, monkeypatch):
     order = [sorted((dist[i, j], j) for j in range(450) if j != i) for i in range(450)]
     assert {r.u: r.v for r in run("nearest_neighbour")} == {i: o[0][1] for i, o in enumerate(order)}
     assert {(r.i, r.rank): r.j for r in run("knn_rank")} == {(i, k + 1): o[k][1] for i, o in enumerate(order) for k in range(3)}
+
+
+def test_exploration_uses_whole_tables(spark):
+    sf = "/root/testdata/sf0.001"
+    if not os.path.isdir(sf):
+        pytest.skip("the given tables are not here")
+    t = lambda name: spark.read.parquet(f"{sf}/{name}.parquet")
+    want = {"suppliers": "supplier", "parts": "part", "pages": "pages", "embeddings": "embeddings", "documents": "documents"}
+    want = {k: t(v).count() for k, v in want.items()}
+    want |= {"nations": t("customer").select("c_nationkey").distinct().count(), "users": t("events").select("user_id").distinct().count(), "conversations": t("conversations").select("conv_id").distinct().count()}
+    assert {r.table: r.points for r in workloads.exploration(spark, sf, partitions=2).collect()} == want
