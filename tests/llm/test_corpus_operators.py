@@ -280,3 +280,38 @@ def test_pipeline_stages(spark, tmp_path):
     assert set(ids["mixing"]) <= set(ids["pii"]) and sorted(ids["bpe"]) == sorted(ids["mixing"])
     got = {(x.doc_id, x.decoded_sha256) for x in kept["bpe"].collect()}
     assert got == {(x.doc_id, hashlib.sha256(x.text.encode()).hexdigest()) for x in kept["mixing"].collect()}
+
+
+def test_near_duplicates_of_an_id_with_two_texts(spark):
+    """Id 5 holds two texts, and 8 is near to the second: it joins in whatever order the rows come."""
+    r = random.Random(9)
+    words = ["".join(r.choice("abcdefgh") for _ in range(5)) for _ in range(200)]
+    one, two = " ".join(words[:40]), " ".join(words[100:140])
+    rows = [(5, one, "m", "n"), (5, two, "m", "n"), (8, two + " more", "m", "n"), (9, " ".join(words[50:90]), "m", "n")]
+    for order in (rows, rows[::-1]):
+        docs = spark.createDataFrame(list(order), "doc_id long, text string, _mark string, _node string").coalesce(1)
+        found, _ = near_duplicates.classes(docs)
+        assert sorted((x.doc_id, x.class_id) for x in found.collect()) == [(5, 5), (5, 5), (8, 5), (9, 9)]
+        if order is rows:
+            kept = near_duplicates.keep_one(docs)
+            assert kept.columns == docs.columns and sorted(x.doc_id for x in kept.collect()) == [5, 9]
+            assert {x._mark for x in kept.collect()} == {"m"}
+    docs = spark.createDataFrame([(None, two), (8, two + " more"), (3, two + " more more")], "doc_id long, text string")
+    assert {x.class_id for x in near_duplicates.classes(docs)[0].collect()} == {3}
+
+
+@pytest.mark.parametrize("tile", [3, 2048])
+def test_near_duplicates_verify_every_pair_where_least_is_zero(spark, monkeypatch, tile):
+    monkeypatch.setattr(near_duplicates, "TILE", tile)
+    monkeypatch.setattr(near_duplicates, "TILE_BYTES", 2000 if tile == 3 else 8_000_000)
+    t = corpus(6)
+    docs = spark.createDataFrame(list(enumerate(t)), "doc_id long, text string").repartition(3)
+    found, _ = near_duplicates.classes(docs, least=0.0)
+    assert {x.doc_id: x.class_id for x in found.collect()} == dict(enumerate(brute(t)))
+
+
+def test_near_duplicates_of_long_texts(spark):
+    r = random.Random(3)
+    words = [f"w{r.randint(0, 10**6)}" for _ in range(60_000)]
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, " ".join(words[:-200])), (3, " ".join(words[30_000:])), (4, "")], "doc_id long, text string")
+    assert sorted((x.doc_id, x.class_id) for x in near_duplicates.classes(docs)[0].collect()) == [(1, 1), (2, 1), (3, 3), (4, 4)]
