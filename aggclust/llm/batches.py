@@ -62,11 +62,18 @@ def per_document(
     return picked.mapInArrow(run, out)
 
 
+def plan_bytes(df: DataFrame) -> int:
+    """Bytes of ``df`` by Spark's own estimate, for a scan the size of its files; nothing is read."""
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+
+
 def shared_folder(spark: SparkSession) -> None:
-    """Use the cluster's own checkpoint folder; set one only where none is set, as in tests."""
+    """Use the cluster's own checkpoint folder; set one only where none is set and all runs on one machine, as in tests."""
     if spark.conf.get("spark.checkpoint.dir", None) is None and spark.sparkContext.getCheckpointDir() is None:
         import tempfile
 
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that all machines share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoint-"))
 
 

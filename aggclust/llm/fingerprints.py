@@ -7,16 +7,21 @@ cells that hold one digest recovers the digests that differ, on either side.  If
 early, both are sketched again with four times the cells, until it succeeds.  The likeness of two
 versions is the share of common digests in all their digests.
 
+A fingerprint is the sketch of ``CELLS`` cells itself, in full: two stored fingerprints subtract
+and peel without their texts (``compare``), and the likeness of two rows is taken from their
+fingerprints' cells, which are sketched anew, larger, only where these do not suffice.
+
 All texts of a slab are cut, hashed, sketched and peeled together in arrays.
 
 Defined cases: a null text is empty; a text without words has no paragraphs, and two such texts
 have likeness 1; equal texts have equal fingerprints; repeated ids follow each other in the order
-of their texts' hashes; a null id comes last; the only row is its own next document.
+of their texts' hashes; a null id comes last; the only row is its own next document; very long
+texts form a slab of their own; an empty table gives no rows.
 """
 
 from __future__ import annotations
 
-from base64 import b64encode
+from base64 import b64decode, b64encode
 from collections.abc import Iterator
 from hashlib import sha256
 
@@ -26,9 +31,12 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from aggclust.llm.batches import SLAB, documents, per_document
+from aggclust.llm.batches import SLAB, documents, per_document, plan_bytes, slabs
 
 CELLS, GROW, RUN = 24, 4, 4
+#: Bytes of text aimed at in a bin, and the most bins: a task streams its bin in slabs, whatever its size.
+BIN_BYTES, MOST_BINS = 64_000_000, 16_384
+CELL = np.dtype([("count", "<i4"), ("keys", "<u8"), ("checks", "<u8")])
 # An odd base of the polynomial hash, finaliser multipliers, and seeds of the cells.
 BASE = np.uint64(0x9E3779B97F4A7C15)
 FINAL = (np.uint64(0xFF51AFD7ED558CCD), np.uint64(0xC4CEB9FE1A85EC53))
@@ -124,9 +132,17 @@ class Sketches:
             np.add.at(self.keys, at, digest * signed)
             np.add.at(self.checks, at, check * signed)
 
-    def peel(self, sets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Digests found with sign 1 and with sign -1 per set, and which sets emptied."""
-        plus, minus = np.zeros(sets, np.int64), np.zeros(sets, np.int64)
+    def minus(self, other: "Sketches", sets: np.ndarray) -> "Sketches":
+        """The difference of the chosen sets' cells."""
+        out = Sketches(0, self.cells)
+        for name in ("count", "keys", "checks"):
+            mine, theirs = (getattr(x, name).reshape(-1, self.cells)[sets] for x in (self, other))
+            setattr(out, name, (mine - theirs).reshape(-1))
+        return out
+
+    def peel(self, sets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Owner, digest and sign of what differs, as far as peeling comes, and which sets emptied."""
+        found = []
         while True:
             at = np.flatnonzero(np.abs(self.count) == 1)
             sign = self.count[at]
@@ -142,53 +158,121 @@ class Sketches:
             new[1:] = (owner[1:] != owner[:-1]) | (key[1:] != key[:-1])
             owner, key, sign = owner[new], key[new], sign[new]
             self.add(owner, key, -sign)
-            np.add.at(plus, owner[sign > 0], 1)
-            np.add.at(minus, owner[sign < 0], 1)
+            found.append((owner, key, sign))
         full = (self.count != 0) | (self.keys != 0) | (self.checks != 0)
-        return plus, minus, ~full.reshape(sets, self.cells).any(1)
+        owner, key, sign = (np.concatenate(c) for c in zip(*found)) if found else (np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64))
+        return owner, key, sign, ~full.reshape(sets, self.cells).any(1)
+
+    def packed(self) -> np.ndarray:
+        out = np.zeros((len(self.count) // self.cells, self.cells), CELL)
+        for name in CELL.names:
+            out[name] = getattr(self, name).reshape(-1, self.cells)
+        return out
+
+
+def sketched(units: tuple, sets: int, cells: int = CELLS) -> Sketches:
+    out = Sketches(sets, cells)
+    out.add(*units)
+    return out
 
 
-def differences(a: tuple, b: tuple, sets: int, cells: int = CELLS) -> tuple[np.ndarray, np.ndarray]:
-    """How many digests only ``a`` and only ``b`` has, per set; both are (owner, digest)."""
-    only_a, only_b = np.zeros(sets, np.int64), np.zeros(sets, np.int64)
+def recovered(a: tuple, b: tuple, sets: int, stored: tuple[Sketches, Sketches] | None = None, cells: int = CELLS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Set, digest and sign (1 only in ``a``, -1 only in ``b``) of all differences; both are (owner, digest).
+
+    The first try subtracts the ``stored`` sketches, if they are given; sets that do not peel are
+    sketched again with ``GROW`` times the cells.
+    """
     gap = np.abs(np.bincount(a[0], minlength=sets) - np.bincount(b[0], minlength=sets))
     open_sets = np.ones(sets, bool)
+    out = []
     while open_sets.any():
         # Sets whose sizes alone differ by more than a sketch can hold wait for a larger one.
         now = open_sets & (gap * 1.2 <= cells)
         if now.any():
             index = np.cumsum(now) - 1
             total = int(now.sum())
-            s = Sketches(total, cells)
-            for (owner, digest), sign in ((a, 1), (b, -1)):
-                mine = now[owner]
-                s.add(index[owner[mine]], digest[mine], sign)
-            plus, minus, done = s.peel(total)
-            which = np.flatnonzero(now)[done]
-            only_a[which], only_b[which] = plus[done], minus[done]
-            open_sets[which] = False
+            if stored is not None and stored[0].cells == cells:
+                s = stored[0].minus(stored[1], now)
+            else:
+                s = Sketches(total, cells)
+                for (owner, digest), sign in ((a, 1), (b, -1)):
+                    mine = now[owner]
+                    s.add(index[owner[mine]], digest[mine], sign)
+            owner, key, sign, done = s.peel(total)
+            which = np.flatnonzero(now)
+            keep = done[owner]
+            out.append((which[owner[keep]], key[keep], sign[keep]))
+            open_sets[which[done]] = False
         cells *= GROW
-    return only_a, only_b
+    return tuple(np.concatenate(c) for c in zip(*out)) if out else (np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.int64))
+
 
+def differences(a: tuple, b: tuple, sets: int, stored: tuple[Sketches, Sketches] | None = None, cells: int = CELLS) -> tuple[np.ndarray, np.ndarray]:
+    """How many digests only ``a`` and only ``b`` has, per set."""
+    owner, _, sign = recovered(a, b, sets, stored, cells)
+    return np.bincount(owner[sign > 0], minlength=sets), np.bincount(owner[sign < 0], minlength=sets)
 
-def likeness(a: tuple, b: tuple, sets: int) -> np.ndarray:
-    only_a, only_b = differences(a, b, sets)
+
+def likeness(a: tuple, b: tuple, sets: int, stored: tuple[Sketches, Sketches] | None = None) -> np.ndarray:
+    only_a, only_b = differences(a, b, sets, stored)
     common = np.bincount(a[0], minlength=sets) - only_a
     union = common + only_a + only_b
     return np.where(union > 0, common / np.maximum(union, 1), 1.0)
 
 
-def fingerprints(texts: list[str], units: tuple) -> list[str]:
+def fingerprints(texts: list[str], units: tuple, sketch: Sketches | None = None) -> list[str]:
     """Digest of the text, number of paragraphs, and the sketch's cells, as one string."""
-    owner, digest = units
-    s = Sketches(len(texts), CELLS)
-    s.add(owner, digest)
-    n = np.bincount(owner, minlength=len(texts))
-    cells = np.zeros((len(texts), CELLS), np.dtype([("count", "<u2"), ("keys", "<u8"), ("checks", "<u4")]))
-    cells["count"] = s.count.reshape(-1, CELLS) & 0xFFFF
-    cells["keys"] = s.keys.reshape(-1, CELLS)
-    cells["checks"] = (s.checks & np.uint64(0xFFFFFFFF)).reshape(-1, CELLS)
-    return [f"{xxhash.xxh3_64_hexdigest(t.encode('utf-8'))}:{k}:{b64encode(c.tobytes()).decode()}" for t, k, c in zip(texts, n, cells)]
+    sketch = sketch or sketched(units, len(texts))
+    n = np.bincount(units[0], minlength=len(texts))
+    return [f"{xxhash.xxh3_64_hexdigest(t.encode('utf-8'))}:{k}:{b64encode(c.tobytes()).decode()}" for t, k, c in zip(texts, n, sketch.packed())]
+
+
+def read(fingerprint: str) -> tuple[str, int, Sketches]:
+    """The text's digest, the number of its paragraphs, and the sketch that a fingerprint holds."""
+    digest, n, cells = fingerprint.split(":")
+    packed = np.frombuffer(b64decode(cells), CELL)
+    out = Sketches(1, len(packed))
+    out.count, out.keys, out.checks = packed["count"].astype(np.int64), packed["keys"].copy(), packed["checks"].copy()
+    return digest, int(n), out
+
+
+def compare(a: str, b: str) -> tuple[list[int], list[int], float] | None:
+    """Digests only in ``a`` and only in ``b``, and the likeness, from two stored fingerprints.
+
+    None where too much differs for the stored cells: then the texts must be sketched larger.
+    """
+    (same_a, n, x), (same_b, _, y) = read(a), read(b)
+    if same_a == same_b:
+        return [], [], 1.0
+    if x.cells != y.cells:
+        raise ValueError("fingerprints of different sizes do not subtract")
+    _, key, sign, done = x.minus(y, np.ones(1, bool)).peel(1)
+    if not done[0]:
+        return None
+    only_a, only_b = sorted(key[sign > 0].tolist()), sorted(key[sign < 0].tolist())
+    union = n + len(only_b)
+    return only_a, only_b, (n - len(only_a)) / union if union else 1.0
+
+
+def changed(versions: DataFrame, id_col: str, before: str, after: str) -> DataFrame:
+    """id, and the digests of the paragraphs that only the text ``before`` or only ``after`` has, as signed longs."""
+    picked = versions.select(F.col(id_col).cast("long").alias("id"), *(F.coalesce(F.col(c).cast("string"), F.lit("")).alias(n) for c, n in ((before, "a"), (after, "b"))))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo, hi, one in slabs(batch.column(1)):
+                other = batch.column(2).slice(lo, hi - lo).to_pylist()
+                owner, key, sign = recovered(paragraphs(one), paragraphs(other), hi - lo)
+                order = np.lexsort((key, owner))
+                owner, key, sign = owner[order], key[order].view(np.int64), sign[order]
+                cols = []
+                for s in (1, -1):
+                    mine = sign == s
+                    at = np.searchsorted(owner[mine], np.arange(hi - lo + 1))
+                    cols.append(pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(key[mine], pa.int64())))
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), *cols], names=["id", "removed", "added"])
+
+    return picked.mapInArrow(run, "id long, removed array<long>, added array<long>")
 
 
 def fingerprint(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -208,16 +292,17 @@ def _chain(rows: list[tuple[int | None, str]]) -> pa.RecordBatch:
     edited = [edit(t, f) for t, f in zip(texts, texts[1:])]
     own, new = paragraphs(texts), paragraphs(edited)
     here, behind = own[0] < k, own[0] > 0
-    a = own[0][here], own[1][here]
+    a, following = (own[0][here], own[1][here]), (own[0][behind] - 1, own[1][behind])
+    mine, theirs, next_ones = sketched(a, k), sketched(new, k), sketched(following, k)
     return pa.RecordBatch.from_arrays(
         [
             pa.array(ids[:k], pa.int64()),
             pa.array([len(t) for t in texts[:k]], pa.int64()),
             pa.array([sha256(t.encode("utf-8")).hexdigest() for t in edited]),
-            pa.array(fingerprints(texts[:k], a)),
-            pa.array(fingerprints(edited, new)),
-            pa.array(likeness(a, new, k)),
-            pa.array(likeness(a, (own[0][behind] - 1, own[1][behind]), k)),
+            pa.array(fingerprints(texts[:k], a, mine)),
+            pa.array(fingerprints(edited, new, theirs)),
+            pa.array(likeness(a, new, k, (mine, theirs))),
+            pa.array(likeness(a, following, k, (mine, next_ones))),
         ],
         names=["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"],
     )
@@ -245,14 +330,14 @@ def with_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", b
     """Fingerprints of every row and of its edit, and their likeness to it and to the next row.
 
     The next row is that of the next smaller id, after the smallest that of the largest.  Ids are
-    cut into bins at approximate quantiles, one shuffle brings each bin's texts together, and the
+    cut into bins at approximate quantiles, as many as the input's bytes ask for, one shuffle brings each bin's texts together, and the
     first row of a bin is also sent to the bin before, so no task sees more than its bin.
     """
     spark = docs.sparkSession
-    bins = bins or 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    bins = bins or min(MOST_BINS, max(4 * int(spark.conf.get("spark.sql.shuffle.partitions")), plan_bytes(docs) // BIN_BYTES))
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
     rows = rows.withColumn("_k", F.coalesce("doc_id", F.lit(-(2**63))))
-    cuts = rows.select(F.percentile_approx("_k", [i / bins for i in range(1, bins)], 20 * bins).alias("c")).first()["c"] or []
+    cuts = rows.select(F.percentile_approx("_k", [i / bins for i in range(1, bins)], min(20 * bins, 100_000)).alias("c")).first()["c"] or []
     cuts = sorted(set(cuts))
     # Two levels keep the search short: the coarse cut, then its own fine ones.
     wide = max(1, int(len(cuts) ** 0.5))

@@ -47,18 +47,29 @@ def merge_linked(symbols: list[int], ranks: dict[int, int], shift: int, made: in
 
 
 class TwoPart(dict):
-    """A cache of bounded size: when ``limit`` entries are new, the older ones go."""
+    """A cache of texts bounded in bytes: when half of ``limit`` is new, the older half goes.
+
+    A text costs about 240 bytes and 12 for each of its characters, value included; one of more
+    than ``LONGEST`` characters is made anew each time.
+    """
+
+    LONGEST = 256
 
     def __init__(self, limit: int, make):
         super().__init__()
-        self.limit, self.make, self.older = limit, make, {}
+        self.half, self.make, self.older, self.held = limit // 2, make, {}, 0
 
     def __missing__(self, key):
         value = self.older.get(key)
         if value is None:
             value = self.make(key)
-        if len(self) >= self.limit:
+        if len(key) > self.LONGEST:
+            return value
+        cost = 240 + 12 * len(key)
+        if self.held + cost > self.half:
             self.older = dict(self)
             self.clear()
+            self.held = 0
+        self.held += cost
         self[key] = value
         return value

@@ -7,8 +7,8 @@ kinds only when their score reaches ``THRESHOLD``.  All of it is DataFrame expre
 is split at the matches, and running lengths of the parts give code-point offsets.
 
 Defined cases: a null text is empty and has no spans; matches that fail validation are dropped
-and not retried; very long runs take linear time; repeated ids and rows each give a row; other
-columns are ignored.
+and not retried; very long runs take linear time; repeated ids and rows each give a row; an empty
+table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -51,12 +51,20 @@ _MOD97 = (
     "CASE WHEN c = '' THEN a WHEN c BETWEEN '0' AND '9' THEN (a * 10 + int(c)) % 97 ELSE (a * 100 + ascii(c) - 55) % 97 END) = 1)"
 )
 
+# The countries of the public IBAN registry by the length of their account numbers.
+IBAN_LENGTHS = {
+    15: "NO", 16: "BE", 18: "DK FI FK FO GL NL SD", 19: "MK SI", 20: "AT BA EE KZ LT LU MN XK", 21: "CH CR HR LI LV",
+    22: "BG BH DE GB GE IE ME RS VA", 23: "AE GI IL IQ OM SO TL", 24: "AD CZ ES MD PK RO SA SE SK TN VG", 25: "LY PT ST", 26: "IS TR",
+    27: "BI DJ FR GR IT MC MR SM", 28: "AL AZ BY CY DO GT HN HU LB NI PL SV", 29: "BR EG PS QA UA", 30: "JO KW MU YE", 31: "MT SC", 32: "LC", 33: "RU",
+}
+_IBAN = "|".join(f"(?:{'|'.join(names.split())})[0-9]{{2}}(?:\\x20?[A-Z0-9]){{{n - 4}}}" for n, names in IBAN_LENGTHS.items())
+
 KINDS = (
     Kind("email", r"(?:(?<![A-Za-z0-9._%+-])|\G)[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", "contains(_t, '@')", "true", 0.7, 0.1, "mail|contact|write|reply", True),
     Kind("ip", r"(?:(?<![0-9])|\G)[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", "contains(_t, '.') AND _t RLIKE '[0-9][.][0-9]'", _PARTS, 0.5, 0.2, "ip|host|server|addr|login", True),
     Kind("card", r"[0-9](?:[\x20-]?[0-9])++", "_t RLIKE '[0-9]'", _LUHN, 0.3, 0.5, "card|visa|credit|payment|account", True),
     Kind("phone", r"\+[0-9][\x20().0-9-]+[0-9]", "contains(_t, '+')", f"length({_DIGITS}) BETWEEN 9 AND 15", 0.5, 0.2, "phone|tel|call|mobile|fax", True),
-    Kind("iban", r"(?<![A-Z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}+(?![A-Za-z0-9])", "_t RLIKE '[A-Z]{2}[0-9]{2}'", _MOD97, 0.2, 0.6, "iban|bank|account|konto|compte|cuenta"),
+    Kind("iban", rf"(?<![A-Z0-9])(?:{_IBAN})(?![A-Za-z0-9])", "_t RLIKE '[A-Z]{2}[0-9]{2}'", _MOD97, 0.2, 0.6, "iban|bank|account|konto|compte|cuenta"),
     Kind("ssn", r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])", "_t RLIKE '[0-9]-[0-9]{2}-[0-9]'", "NOT m RLIKE '^(000|666|9)|-00-|-0000$'", 0.2, 0.15, "ssn|social security|tax id"),
     Kind("passport", r"(?<![A-Za-z0-9])[A-Z]{1,2}[0-9]{6,8}(?![A-Za-z0-9])", "_t RLIKE '[A-Z][0-9]{6}'", "true", 0.3, 0.0, "passport|passeport|reisepass|pasaporte|identity"),
 )
@@ -113,25 +121,23 @@ def pii(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Data
 
 
 def mask(docs: DataFrame, text_col: str = "text", kinds: tuple[Kind, ...] = KINDS) -> DataFrame:
-    """``docs`` with every confirmed span replaced by its kind in brackets, one kind after another.
+    """``docs`` with every span that ``find_spans`` lists replaced by its kind in brackets.
 
-    Null texts stay null; other columns are untouched.
+    All spans are those of the text as it came.  Of spans that overlap, the one that begins first
+    (the longest of these) gives the name, and all that any of them covers goes.  Null texts stay
+    null; other columns, whatever their names, are untouched.
     """
-    out = docs
-    column = f"`{text_col}`"
-    for kind in kinds:
-        valid = _on(kind.valid, "x.m")
-        if not kind.base:
-            near = _quoted(f"(?i)(?<![a-z])(?:{kind.words})")
-            known = f"{kind.prior + kind.checked:.3f}D + CASE WHEN right(x.o, {CONTEXT}) RLIKE {near} THEN 0.3D ELSE 0D END + CASE WHEN left(x.`2`, {CONTEXT}) RLIKE {near} THEN 0.1D ELSE 0D END"
-            valid = f"{valid} AND round({known}, 3) >= {THRESHOLD}D"
-        parts = f"array(named_struct('o', split({column}, {_quoted(kind.pattern)}, -1), 'm', regexp_extract_all({column}, {_quoted(kind.pattern)}, 0)))"
-        pieces = (
-            "transform(arrays_zip(z.o, z.m, slice(z.o, 2, size(z.o))), x -> concat(x.o, CASE WHEN x.m IS NULL THEN '' "
-            f"WHEN {valid} THEN '[{kind.name.upper()}]' ELSE x.m END))"
-        )
-        out = out.withColumn(text_col, F.expr(f"CASE WHEN {kind.trigger.replace('_t', column)} THEN array_join(element_at(transform({parts}, z -> {pieces}), 1), '') ELSE {column} END"))
-    return out
+    tagged = ", ".join(f"transform(k.{kind.name}, s -> named_struct('b', s.start, 'l', s.start - s.end, 'n', '[{kind.name.upper()}]'))" for kind in kinds)
+    step = (
+        "CASE WHEN s.b >= a.at THEN named_struct('at', s.b - s.l, 'out', concat(a.out, substring(t, a.at + 1, s.b - a.at), s.n)) "
+        "WHEN s.b - s.l > a.at THEN named_struct('at', s.b - s.l, 'out', a.out) ELSE a END"
+    )
+    built = f"aggregate(sorted, named_struct('at', 0, 'out', ''), (a, s) -> {step}, a -> concat(a.out, substring(t, a.at + 1, length(t) - a.at)))"
+    row = docs.select(F.struct("*").alias("_row"), F.col(f"`{text_col}`").cast("string").alias("_t"))
+    found = row.select("_row", "_t", F.struct(*(spans_of(k).alias(k.name) for k in kinds)).alias("k"))
+    found = found.select("_row", F.col("_t").alias("t"), F.expr(f"array_sort(concat({tagged}))").alias("sorted"))
+    new = F.expr(f"CASE WHEN size(sorted) > 0 THEN {built} ELSE t END")
+    return found.select(*((new if c == text_col else F.col("_row").getField(c)).alias(c) for c in docs.columns))
 
 
 def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:

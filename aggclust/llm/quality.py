@@ -2,30 +2,34 @@
 
 Each text is cut into blocks, every block is compressed with the good dictionary, with the bad
 one and with none, and the differences of the compressed sizes, divided by the text's bytes, go
-through a logistic calibration.  Labels are learned from a bounded sample: per class the
-``per_class`` labelled rows of lowest hashed id, and of each the first ``fit_bytes`` bytes; half
-of them make the dictionaries, the others the calibration.  Scoring reads whole texts.
+through a logistic calibration.  Labels are learned from a bounded sample of rows, in whole texts:
+per class the ``per_class`` labelled documents of lowest hashed id, half of them for the
+dictionary, the others for the calibration.  Dictionaries and size differences are made in the
+executors; the driver gets two dictionaries and three numbers per row of the sample.
 
 Defined cases: a null text is empty and gets the calibration's value for no bytes; labels that
-are null, repeated or without a document are ignored or used once each; where one class has no
-labelled document, every score is 1.0 (no bad ones) or 0.0 (no good ones).  An id that is null
-counts as the empty string when rows are held out.  Other columns are ignored.
+are null, repeated or without a document are ignored or used once each; of several texts of one
+id the smallest is learned from; where one class has no labelled document, every score is 1.0 (no
+bad ones) or 0.0 (no good ones), and 1.0 without any label.  An id that is null counts as the
+empty string when rows are held out.  Repeated rows each give a row, an empty table gives none.
+Other columns are ignored.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from aggclust.llm.batches import documents, slabs
+from aggclust.llm.batches import cut, documents, slabs
 
-PER_CLASS, FIT_BYTES, DICTIONARY, BLOCK, LEVEL, THRESHOLD = 3000, 16_384, 112_640, 4096, 3, 0.3
+PER_CLASS, DICTIONARY, BLOCK, LEVEL, THRESHOLD = 3000, 112_640, 4096, 3, 0.3
 
 
 @dataclass(frozen=True)
@@ -83,26 +87,31 @@ def _calibrate(x: np.ndarray, y: np.ndarray) -> tuple[tuple, tuple, tuple]:
     return tuple(centre), tuple(scale), tuple(w)
 
 
-def fit(texts: list[str], labels: list[int], dictionary: int = DICTIONARY) -> Model:
-    raws = [(t or "").encode("utf-8")[:FIT_BYTES] for t in texts]
-    y = np.array(labels, int)
-    if not (y == 1).any() or not (y == 0).any():
-        return Model(b"", b"", (), (), (), 0.0 if (y == 0).any() else 1.0)
-    made = np.zeros(len(y), bool)
-    for k in (0, 1):
-        made[np.flatnonzero(y == k)[::2]] = True
+def _trained(size: int):
+    """class and dictionary from the rows (_q, _o, _t) of one class."""
 
-    def train(kind: int) -> bytes:
-        blocks = [b for r, m, k in zip(raws, made, y) if m and k == kind for b in _blocks(r)]
+    def run(table: pa.Table) -> pa.Table:
+        table = table.sort_by("_o")
+        blocks = [b for t in table["_t"].to_pylist() for b in _blocks(t.encode("utf-8"))]
         try:
-            return zstandard.train_dictionary(dictionary, blocks).as_bytes()
+            made = zstandard.train_dictionary(size, blocks).as_bytes()
         except zstandard.ZstdError:  # too few samples for the trainer: their bytes serve as they are
-            return b"".join(blocks)[:dictionary] or b" "
+            made = b"".join(blocks)[:size] or b" "
+        return pa.table({"_q": pa.array([table["_q"][0].as_py()], pa.int32()), "dictionary": pa.array([made], pa.binary())})
+
+    return run
+
+
+def _measured(good: bytes, bad: bytes):
+    """_o, _q and the size differences of rows (_o, _q, _t)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo, hi, texts in slabs(batch.column(2)):
+                x = differences([t.encode("utf-8") for t in texts], good, bad)
+                yield pa.RecordBatch.from_arrays([*(batch.column(c).slice(lo, hi - lo) for c in (0, 1)), *(pa.array(x[:, i]) for i in range(3))], names=["_o", "_q", "a", "b", "c"])
 
-    good, bad = train(1), train(0)
-    rest = ~made if len(set(y[~made])) == 2 else np.ones(len(y), bool)
-    x = differences([r for r, m in zip(raws, rest) if m], good, bad)
-    return Model(good, bad, *_calibrate(x, y[rest]))
+    return run
 
 
 def score_texts(model: Model, texts: list[str | None]) -> np.ndarray:
@@ -128,16 +137,25 @@ def held_out(id_col: str | Column) -> Column:
     return F.crc32(F.coalesce(id_col.cast("string"), F.lit(""))) % 5 == 0
 
 
-def learn(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Model:
-    """Fit on the labelled documents that are not held out; at most 2 * per_class rows reach the driver."""
+def learn(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, dictionary: int = DICTIONARY) -> Model:
+    """Fit on whole texts of at most ``per_class`` labelled documents of each class that are not held out."""
     rows = labels.select(F.col("doc_id").cast("long").alias("_id"), F.col("quality").cast("int").alias("_q")).where(F.col("_id").isNotNull() & ~held_out("_id"))
+    known = docs.select(F.col("doc_id").cast("long").alias("_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("_t"))
     picked = None
     for k in (0, 1):
         part = rows.where(F.col("_q") == k).distinct().orderBy(F.xxhash64("_id"), "_id").limit(per_class)
         picked = part if picked is None else picked.unionByName(part)
-    texts = docs.select(F.col("doc_id").cast("long").alias("_id"), F.substring(F.coalesce("text", F.lit("")), 1, FIT_BYTES).alias("_t"))
-    got = texts.join(F.broadcast(picked), "_id").orderBy(F.xxhash64("_id"), "_id", "_t", "_q").limit(4 * per_class).collect()
-    return fit([r["_t"] for r in got], [r["_q"] for r in got])
+    sample = known.join(F.broadcast(picked), "_id").groupBy("_id", "_q").agg(F.min("_t").alias("_t"))
+    # The sample's rows are bounded, so a class may be put in order in one task.
+    sample = cut(sample.withColumn("_o", F.row_number().over(Window.partitionBy("_q").orderBy(F.xxhash64("_id"), "_id"))))
+    n = {r["_q"]: r["count"] for r in sample.groupBy("_q").count().collect()}
+    if len(n) < 2:
+        return Model(b"", b"", (), (), (), 0.0 if 0 in n else 1.0)
+    made = sample.where("_o % 2 = 1").select("_q", "_o", "_t").groupBy("_q").applyInArrow(_trained(dictionary), "_q int, dictionary binary")
+    found = {r["_q"]: bytes(r["dictionary"]) for r in made.collect()}
+    rest = sample.where("_o % 2 = 0") if min(n.values()) > 1 else sample
+    got = sorted(map(tuple, rest.select("_o", "_q", "_t").mapInArrow(_measured(found[1], found[0]), "_o int, _q int, a double, b double, c double").collect()))
+    return Model(found[1], found[0], *_calibrate(np.array([r[2:] for r in got]), np.array([r[1] for r in got])))
 
 
 def quality_scores(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:

@@ -2,11 +2,12 @@
 
 A text is cut into pieces by the vectorised scanner, and a piece's count is the number of its
 bytes minus the number of merges that a heap of adjacent pairs performs; no token identifiers
-are produced.  Counts of pieces are cached per Python worker in a cache of bounded size.
+are produced.  Counts of pieces are cached per Python worker in a cache bounded in bytes.
 
 Defined cases: a null text counts as empty (0 bytes, 0 tokens); repeated ids and repeated rows
 each give a row; the special string of the vocabulary counts as one token wherever it stands,
-which is the library's default; very long pieces take O(n log n).  Other columns are ignored.
+which is the library's default; very long pieces take O(n log n); an empty table gives no rows.
+Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,7 +22,8 @@ from aggclust.llm import pretokenize
 from aggclust.llm.batches import documents, per_document
 from aggclust.llm.merging import TwoPart, merge_linked
 
-CACHE, LIMIT = 300_000, 1024
+#: Bytes of the cache of a Python worker, and the limit of a document's tokens.
+CACHE, LIMIT = 128_000_000, 1024
 
 
 def byte_letters() -> list[str]:

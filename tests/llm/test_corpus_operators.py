@@ -59,8 +59,35 @@ def test_peeling_counts_differences_of_any_size():
         a.append(np.unique(np.concatenate([base, r.integers(1, 2**63, k).astype(np.uint64)])))
         b.append(np.unique(np.concatenate([base, r.integers(1, 2**63, 2 * k).astype(np.uint64)])))
     pack = lambda s: (np.repeat(np.arange(len(s)), [len(x) for x in s]), np.concatenate(s))
-    only_a, only_b = fingerprints.differences(pack(a), pack(b), 5)
-    assert only_a.tolist() == [0, 1, 5, 40, 900] and only_b.tolist() == [0, 2, 10, 80, 1800]
+    stored = fingerprints.sketched(pack(a), 5), fingerprints.sketched(pack(b), 5)
+    for given in (None, stored):
+        only_a, only_b = fingerprints.differences(pack(a), pack(b), 5, given)
+        assert only_a.tolist() == [0, 1, 5, 40, 900] and only_b.tolist() == [0, 2, 10, 80, 1800]
+
+
+def test_stored_fingerprints_subtract_and_peel(spark):
+    """What two stored strings recover is what the sets of digests differ by; the query's likeness is theirs."""
+    r = random.Random(2)
+    words = [f"w{i}" for i in range(500)]
+    base = [" ".join(r.choice(words) for _ in range(300)) for _ in range(30)]
+    other = [" ".join(w if r.random() > 0.01 * (i % 4) else "new" for w in x.split()) for i, x in enumerate(base)]
+    one, two = (fingerprints.fingerprints(t, fingerprints.paragraphs(t)) for t in (base, other))
+    done = 0
+    for x, y, a, b in zip(base, other, one, two):
+        p, q = (set(fingerprints.paragraphs([t])[1].tolist()) for t in (x, y))
+        got = fingerprints.compare(a, b)
+        if got is not None:
+            done += 1
+            assert (set(got[0]), set(got[1])) == (p - q, q - p) and got[2] == pytest.approx(len(p & q) / len(p | q))
+    assert done >= 20 and fingerprints.compare(one[0], two[1]) is None
+    docs = spark.createDataFrame(list(enumerate(base)), "doc_id long, text string")
+    near = {x.doc_id: x for x in fingerprints.with_next(docs).collect()}
+    again = [(x.near_edited, fingerprints.compare(x.fingerprint, x.edited_fingerprint)) for x in near.values()]
+    assert all(c is None or c[2] == pytest.approx(n) for n, c in again)
+    pairs = spark.createDataFrame([(i, x, y) for i, (x, y) in enumerate(zip(base, other[1:] + [None]))], "id long, a string, b string")
+    for x in fingerprints.changed(pairs, "id", "a", "b").collect():
+        p, q = (set(fingerprints.paragraphs([t])[1].view(np.int64).tolist()) for t in (base[x.id], (other[1:] + [""])[x.id]))
+        assert (set(x.removed), set(x.added)) == (p - q, q - p)
 
 
 def test_shingles():
@@ -254,6 +281,38 @@ def test_mix_meets_its_targets(spark):
     assert mixing.mix(docs.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("lean", [0.5, 0.0, 1.0])
+def test_inclusion_follows_the_odds(spark, lean):
+    """One set of documents under 400 sources, each with random numbers of its own: shares taken are the probabilities."""
+    sizes = [1, 1, 2, 3, 5, 8, 13, 20, 20, 33, 40, 57, 64, 90, 130, 7, 9, 11, 300, 2] * 2
+    copies = 400
+    docs = spark.createDataFrame([(s * 1000 + i, "w " * k, f"s{s}") for s in range(copies) for i, k in enumerate(sizes)], "doc_id long, text string, source string")
+    rows = mixing.mix(docs, weights=(1.0,), volume=0.6, lean=lean).collect()
+    taken, p = collections.Counter(), {}
+    for x in rows:
+        taken[x["size"]] += x.copies / copies / sizes.count(x["size"])
+        p[x["size"]] = x.inclusion
+        assert x.copies in (0, 1) and x.inclusion == pytest.approx(x.inclusion)
+    assert sum(p[k] * k for k in sizes) == pytest.approx(0.6 * sum(sizes))
+    odds = {k: p[k] / (1 - p[k]) / 2 ** (lean * (k.bit_length() - 1)) for k in sizes}
+    assert max(odds.values()) == pytest.approx(min(odds.values()))
+    assert all(abs(taken[k] - p[k]) < 0.09 for k in sizes)
+    by_source = collections.Counter()
+    for x in rows:
+        by_source[x.doc_id // 1000] += x.taken
+    assert all(abs(t - 0.6 * sum(sizes)) <= 150 for t in by_source.values())
+
+
+def test_mix_of_repeated_rows_and_null_ids(spark):
+    docs = spark.createDataFrame([(None, "a b c", "s", 1)] * 3 + [(1, "a", "s", 1), (1, "a b", "s", 1), (1, "a", "s", 1), (2, None, None, 1), (3, "x " * 50_000, None, 1)], "doc_id long, text string, source string, rank int")
+    rows = mixing.mix(docs).collect()
+    assert len(rows) == 8 and all(x.taken == x["size"] * x.copies and x.copies <= 2 for x in rows)
+    assert len({(x.doc_id, x["size"], x.copies) for x in rows}) == len({(x.doc_id, x["size"]) for x in rows})
+    again = mixing.mix(docs.repartition(5)).collect()
+    assert sorted(map(str, rows)) == sorted(map(str, again))
+    assert mixing.repeat(docs).columns == docs.columns
+
+
 def test_pipeline_stages(spark, tmp_path):
     pipeline = pytest.importorskip("corpus_pipeline")
     r = random.Random(4)
