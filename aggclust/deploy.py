@@ -19,7 +19,7 @@ def ship(spark: SparkSession) -> None:
         return
     root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
     files = sorted(os.path.join(d, f) for d, _, names in os.walk(os.path.join(root, "aggclust")) for f in names if f.endswith(".py"))
-    files += [p for p in (os.path.join(root, "corpus_pipeline.py"),) if os.path.exists(p)]
+    files += sorted(os.path.join(root, f) for f in os.listdir(root) if f.endswith(".py"))
     digest = hashlib.sha256(b"".join(open(f, "rb").read() for f in files)).hexdigest()[:16]
     path = os.path.join(tempfile.mkdtemp(prefix="aggclust-"), f"aggclust_{digest}.zip")
     with zipfile.ZipFile(path, "w") as z:

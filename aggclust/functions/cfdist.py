@@ -51,12 +51,11 @@ def distance_profile(pairs: DataFrame, a: str = "a", b: str = "b", keep: tuple[s
     return pairs.select(*keep, *(cf_distance(a, b, k).alias(k.lower()) for k in KINDS))
 
 
-def squared_to_many(kind: str, n: float, mu: np.ndarray, sse: float, ns: np.ndarray, mus: np.ndarray, sses: np.ndarray) -> np.ndarray:
-    """Squared distances of one feature to many; ``mus`` is (d, m), one row per dimension."""
+def _squared(kind: str, delta: np.ndarray, axis: int, n, sse, ns: np.ndarray, sses: np.ndarray) -> np.ndarray:
+    """The closed forms on arrays; ``delta`` holds the gaps of the means along ``axis``."""
     if kind == "D1":
-        return np.abs(mus - mu[:, None]).sum(0) ** 2
-    delta = mus - mu[:, None]
-    d2 = np.einsum("ij,ij->j", delta, delta)
+        return np.abs(delta).sum(axis) ** 2
+    d2 = np.einsum("dw,dw->w", delta, delta) if axis == 0 else np.einsum("rdw,rdw->rw", delta, delta)
     if kind == "D0":
         return d2
     if kind == "D2":
@@ -72,6 +71,16 @@ def squared_to_many(kind: str, n: float, mu: np.ndarray, sse: float, ns: np.ndar
     raise ValueError(f"unknown distance {kind}")
 
 
+def squared_to_many(kind: str, n: float, mu: np.ndarray, sse: float, ns: np.ndarray, mus: np.ndarray, sses: np.ndarray) -> np.ndarray:
+    """Squared distances of one feature to many; ``mus`` is (d, m), one row per dimension."""
+    return _squared(kind, mus - mu[:, None], 0, n, sse, ns, sses)
+
+
+def squared_rows(kind: str, n: np.ndarray, mu: np.ndarray, sse: np.ndarray, ns: np.ndarray, mus: np.ndarray, sses: np.ndarray) -> np.ndarray:
+    """Squared distances (r, w) of feature r to the w features of its row; ``mus`` is (r, d, w)."""
+    return _squared(kind, mus - mu[:, :, None], 1, n[:, None], sse[:, None], ns, sses)
+
+
 def squared_matrix(kind: str, n: np.ndarray, mu: np.ndarray, sse: np.ndarray) -> np.ndarray:
     """The full matrix of squared distances of features; ``mu`` is (m, d)."""
     mus = np.ascontiguousarray(mu.T)

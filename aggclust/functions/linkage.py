@@ -43,6 +43,25 @@ LINKAGES = {
 }
 
 
+#: Linkages without recurrence: taken anew from all distances of the two clusters' members.
+BY_DEFINITION = ("minimax", "medoid")
+
+
+def by_definition(name: str, d: np.ndarray, a: np.ndarray, b: np.ndarray) -> float:
+    """Of members ``a`` and ``b`` in a matrix with zero diagonal.
+
+    ``minimax``: the least radius around a member that holds both clusters.  ``medoid``: the
+    distance of the members of least summed distance to their own cluster.
+    """
+    if name == "minimax":
+        both = np.concatenate([a, b])
+        return float(d[np.ix_(both, both)].max(1).min())
+    if name == "medoid":
+        centre = [m[int(d[np.ix_(m, m)].sum(1).argmin())] for m in (a, b)]
+        return float(d[centre[0], centre[1]])
+    raise ValueError(f"{name} has a recurrence")
+
+
 def get(name: str) -> Linkage:
     if name not in LINKAGES:
         raise ValueError(f"unknown linkage {name}; there are {', '.join(LINKAGES)}")

@@ -3,7 +3,7 @@
 Partitions build trees of their own; their leaf entries, which are features and can be inserted
 like points, meet in groups of ``fan_in`` trees per round until one tree is left.  Only entries
 are shuffled: at most the cap per tree, whatever the table's size.  Each entry carries its tree's
-final threshold, and a later tree starts at the largest it receives.
+final threshold, and a later tree goes on with the largest that it has received.
 """
 
 from __future__ import annotations
@@ -19,9 +19,10 @@ from pyspark.sql import functions as F
 
 from aggclust.functions.features import cf_agg
 from aggclust.operators.cftree import CFTree
+from aggclust.sources.storage import cut_lineage
 
 LEAVES = "part int, pos long, t double, rebuilds int, depth int, inserted long, n double, mu array<double>, sse double"
-CAP, FAN_IN = 25_000, 64
+CAP, FAN_IN = 25_000, 16
 
 
 def _rows(tree: CFTree, part: int, inserted: int, rebuilds: int) -> pa.RecordBatch:
@@ -37,52 +38,61 @@ def _rows(tree: CFTree, part: int, inserted: int, rebuilds: int) -> pa.RecordBat
             full(tree.depth, pa.int32()),
             full(inserted, pa.int64()),
             pa.array(n, pa.float64()),
-            pa.array(list(mu), pa.list_(pa.float64())),
+            pa.ListArray.from_arrays(pa.array(np.arange(m + 1) * tree.d, pa.int32()), pa.array(mu.reshape(-1), pa.float64())),
             pa.array(sse, pa.float64()),
         ],
         names=["part", "pos", "t", "rebuilds", "depth", "inserted", "n", "mu", "sse"],
     )
 
 
+def _features(batch: pa.RecordBatch, d: int, n: str = "n", mu: str = "mu", sse: str = "sse") -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Weights, means (m, d) and sums of squares of an Arrow batch, without Python rows."""
+    flat = batch.column(mu).flatten().to_numpy(zero_copy_only=False).astype(float, copy=False)
+    return batch.column(n).to_numpy(zero_copy_only=False), flat.reshape(len(batch), d), batch.column(sse).to_numpy(zero_copy_only=False)
+
+
 def _local_tree(d: int, options: dict):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tree, rows = CFTree(d, **options), 0
+        tree = CFTree(d, **options)
         for b in batches:
-            n = b.column(0).to_numpy(zero_copy_only=False)
-            mu = b.column(1).flatten().to_numpy(zero_copy_only=False).reshape(len(b), d)
-            sse = b.column(2).to_numpy(zero_copy_only=False)
-            for i in range(len(b)):
-                tree.insert(n[i], mu[i], sse[i])
-            rows += len(b)
-        if rows:
-            yield _rows(tree, TaskContext.get().partitionId(), rows, 0)
+            if len(b):
+                tree.insert_many(*_features(b, d))
+        if tree.inserted:
+            yield _rows(tree, TaskContext.get().partitionId(), tree.inserted, 0)
 
     return run
 
 
 def _merge_round(d: int, options: dict):
-    """Rows come sorted by group, and within it by part and position; one tree per group."""
+    """Entries come sorted by group, and within it by part and position; one tree per group.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, rows = None, []
-
-        def build() -> pa.RecordBatch:
-            start = max(r[3] for r in rows)
-            tree = CFTree(d, **(options | {"threshold": start}))
-            for r in rows:
-                tree.insert(r[6], np.array(r[7]), r[8])
-            per = {r[1]: (r[4], r[5]) for r in rows}
-            return _rows(tree, now, sum(v[1] for v in per.values()), sum(v[0] for v in per.values()))
+    Nothing but the tree and a batch is held, however many trees meet.
+    """
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now = tree = None
+        part, inserted, rebuilds = None, 0, 0
         for b in batches:
-            for r in zip(*(c.to_pylist() for c in b.columns)):
-                if r[0] != now:
-                    if rows:
-                        yield build()
-                    now, rows = r[0], []
-                rows.append(r)
-        if rows:
-            yield build()
+            groups, parts = (b.column(c).to_numpy() for c in ("grp", "part"))
+            ends = np.flatnonzero(np.diff(groups)) + 1
+            for lo, hi in zip([0, *ends], [*ends, len(b)]):
+                if lo == hi:
+                    continue
+                if groups[lo] != now:
+                    if tree is not None:
+                        yield _rows(tree, now, inserted, rebuilds)
+                    now, tree, part, inserted, rebuilds = int(groups[lo]), CFTree(d, **options), None, 0, 0
+                piece = b.slice(lo, hi - lo)
+                # Each part's counters stand in all its rows: they count once.
+                for at in [lo, *(np.flatnonzero(np.diff(parts[lo:hi])) + lo + 1)]:
+                    if parts[at] != part:
+                        part = parts[at]
+                        inserted += b.column("inserted")[at].as_py()
+                        rebuilds += b.column("rebuilds")[at].as_py()
+                tree.raise_to(max(piece.column("t").to_numpy()))
+                tree.insert_many(*_features(piece, d))
+        if tree is not None:
+            yield _rows(tree, now, inserted, rebuilds)
 
     return run
 
@@ -119,7 +129,7 @@ def compress(
     dedupe: bool = False,
     grid: float | None = None,
     width: int = 32,
-    growth: str = "median",
+    growth: str = "mean",
 ) -> DataFrame:
     """Leaf features (cf_id, n, mu, sse, t and the counters rebuilds, depth, inserted) of points (id, vec, w).
 
@@ -140,7 +150,11 @@ def compress(
         src = permute(points, seed, partitions) if order == "hash" else points.sortWithinPartitions("id", "vec", "w")
         src = src.select(F.col("w").alias("n"), F.col("vec").alias("mu"), F.lit(0.0).alias("sse"))
     trees = src.mapInArrow(_local_tree(d, options), LEAVES)
-    count = partitions if order == "hash" else max(1, src.rdd.getNumPartitions())
+    count = partitions
+    if order == "scan":
+        # The entries are written once; which parts there are says how many rounds are needed.
+        trees = cut_lineage(trees)
+        count = (trees.agg(F.max("part")).first()[0] or 0) + 1
     while count > 1:
         groups = math.ceil(count / fan_in)
         dealt = trees.withColumn("grp", (F.col("part") / fan_in).cast("int")).repartition(groups, "grp").sortWithinPartitions("grp", "part", "pos")
@@ -172,8 +186,9 @@ def tree_levels(points: DataFrame, d: int, **options) -> DataFrame:
     def run(batches):
         tree = CFTree(d, **options)
         for b in batches:
-            for v, w in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                tree.insert(w, np.array(v), 0.0)
+            if len(b):
+                flat = b.column(0).flatten().to_numpy(zero_copy_only=False)
+                tree.insert_points(flat.reshape(len(b), d), b.column(1).to_numpy(zero_copy_only=False))
         cols = list(zip(*tree.levels()))
         kinds = (pa.int64(), pa.int64(), pa.int32(), pa.bool_(), pa.float64(), pa.list_(pa.float64()), pa.float64())
         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], names=["node_id", "parent_id", "level", "is_leaf", "n", "mu", "sse"])
@@ -196,7 +211,7 @@ def assign_to_leaves(points: DataFrame, leaves: DataFrame, cap: int = CAP) -> Da
 
     def run(batches):
         for b in batches:
-            x = np.array(b.column(1).to_pylist(), float)
+            x = b.column(1).flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(b), -1)
             best = np.concatenate([ids[(norms - 2 * (x[i : i + 1024] @ centres)).argmin(1)] for i in range(0, len(x), 1024)]) if len(x) else np.zeros(0, np.int64)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(best, pa.int64())], names=["id", "cf_id"])
 

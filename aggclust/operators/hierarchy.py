@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -9,6 +11,7 @@ from pyspark.sql import functions as F
 
 from aggclust.functions.features import cf_merge_agg
 from aggclust.operators import agglomerate as agg
+from aggclust.operators.compress import CAP
 
 _COLS = ("step", "left", "right", "node", "height", "size")
 
@@ -59,8 +62,12 @@ def sweep_k(merges: DataFrame, ks: list[int]) -> DataFrame:
 
 
 def label_points(assigned: DataFrame, labels: DataFrame) -> DataFrame:
-    """id, cluster from (id, cf_id) and (item, cluster); labels are bounded by the tree's cap."""
-    return assigned.join(F.broadcast(labels), F.col("cf_id") == F.col("item")).select("id", "cluster")
+    """id, cluster from (id, cf_id) and (item, cluster).
+
+    Labels are sent to all tasks if they are at most ``CAP``, which is counted; else the join shuffles.
+    """
+    few = labels.limit(CAP + 1).count() <= CAP
+    return assigned.join(F.broadcast(labels) if few else labels, F.col("cf_id") == F.col("item")).select("id", "cluster")
 
 
 def inversions(merges: DataFrame) -> DataFrame:
@@ -72,13 +79,14 @@ def inversions(merges: DataFrame) -> DataFrame:
 
 def members(merges: DataFrame, node: int) -> DataFrame:
     """The items below a node."""
-    merges.createOrReplaceTempView("_merges_of_members")
+    view = f"_merges_{uuid.uuid4().hex}"
+    merges.createOrReplaceTempView(view)
     return merges.sparkSession.sql(
         f"""WITH RECURSIVE below(id) AS (
             SELECT CAST({int(node)} AS BIGINT) AS id
             UNION ALL
-            SELECT explode(array(left, right)) AS id FROM below JOIN _merges_of_members ON node = id)
-        SELECT id AS item FROM below WHERE id NOT IN (SELECT node FROM _merges_of_members)"""
+            SELECT explode(array(left, right)) AS id FROM below JOIN {view} ON node = id)
+        SELECT id AS item FROM below WHERE id NOT IN (SELECT node FROM {view})"""
     )
 
 

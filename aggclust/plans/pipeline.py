@@ -13,10 +13,12 @@ from aggclust.operators import agglomerate as agg
 from aggclust.operators.compress import CAP, compress
 
 MODES = ("full", "cf_centers", "cf_linkage", "cf_aggregation")
-SEARCHES = ("scan", "cached", "chain_matrix", "chain_linear")
+SEARCHES = ("scan", "cached", "chain_matrix", "chain_linear", "cached_linear")
 MERGES = "step int, left long, right long, node long, height double, size double"
-#: Items up to which a search keeps a matrix; beyond it geometric linkages go on in linear memory.
-MATRIX_LIMIT, FULL_LIMIT = 6000, 60_000
+COUNTED = f"{MERGES}, distances long, cells long, peak_bytes long"
+#: Items that one task takes; searches with a matrix are limited further, by its bytes.
+FULL_LIMIT = 60_000
+LINEAR = ("chain_linear", "cached_linear")
 GEOMETRIC = {"upgmc": ("D0", 1.0), "ward": ("D4", 2.0), "upgma": ("D2", 1.0)}
 
 
@@ -28,14 +30,18 @@ def validate(mode: str, search: str, linkage: str | None, kind: str | None, base
         if kind not in KINDS:
             raise ValueError(f"cf_aggregation takes a feature distance of {KINDS}")
         return
+    if linkage in link.BY_DEFINITION:
+        if mode != "full" or search != "scan":
+            raise ValueError(f"{linkage} needs all distances of the points: mode full, search scan")
+        return
     found = link.get(linkage or "")
     if mode == "cf_linkage":
         if found.cf_kind is None:
             raise ValueError(f"{linkage} has no distance of features")
-        if search == "chain_linear" and linkage not in ("upgmc", "ward"):
-            raise ValueError("a chain in linear memory needs a linkage that follows from weights and means")
-    elif search == "chain_linear" and (linkage not in GEOMETRIC or (linkage == "upgma" and base != "sqeuclidean")):
-        raise ValueError("a chain in linear memory needs a geometric linkage")
+        if search in LINEAR and linkage not in ("upgmc", "ward"):
+            raise ValueError("linear memory needs a linkage that follows from weights and means")
+    elif search in LINEAR and (linkage not in GEOMETRIC or (linkage == "upgma" and base != "sqeuclidean")):
+        raise ValueError("linear memory needs a geometric linkage")
 
 
 def solve(n: np.ndarray, mu: np.ndarray, sse: np.ndarray, mode: str, search: str, linkage: str | None = None, kind: str | None = None, base: str = "euclidean", cut_order: str = "height", counters=None) -> list[tuple]:
@@ -45,25 +51,29 @@ def solve(n: np.ndarray, mu: np.ndarray, sse: np.ndarray, mode: str, search: str
         return agg.number(agg.agglomerate_cf(n, mu, sse, kind, search, counters), n, cut_order)
     if mode in ("full", "cf_centers"):
         n, sse = np.ones(len(n)), np.zeros(len(n))
-    squared = link.get(linkage).squared or base == "sqeuclidean" or mode == "cf_linkage"
-    geometric = linkage in GEOMETRIC and squared
-    if search == "chain_linear" or (geometric and len(n) > MATRIX_LIMIT):
+    if linkage in link.BY_DEFINITION:
+        return agg.number(agg.greedy_definition(agg.point_matrix(mu, base), linkage, counters), n, cut_order)
+    found = link.get(linkage)
+    squared = found.squared or base == "sqeuclidean" or mode == "cf_linkage"
+    if search == "chain_linear" and linkage in ("ward", "upgmc"):
+        return agg.number(agg.chain_centres(n, mu, linkage, counters), n, cut_order)
+    if search in LINEAR:
         feature, factor = GEOMETRIC[linkage]
-        run = agg.greedy_linear if search in ("cached", "scan") else agg.chain_linear
-        found = [(i, j, h * factor) for i, j, h in run(n, mu, sse, feature, counters)]
-        return agg.number(found, n, cut_order)
-    if mode == "cf_linkage":
-        d = squared_matrix(link.get(linkage).cf_kind, n, mu, sse) * link.get(linkage).cf_factor
-    else:
-        d = agg.point_matrix(mu, base, squared)
-    run = {"scan": agg.greedy_scan, "cached": agg.greedy_cached, "chain_matrix": agg.chain_matrix}[search]
+        run = agg.greedy_linear if search == "cached_linear" else agg.chain_linear
+        return agg.number([(i, j, h * factor) for i, j, h in run(n, mu, sse, feature, counters)], n, cut_order)
+    if search == "scan":
+        d = squared_matrix(found.cf_kind, n, mu, sse) * found.cf_factor if mode == "cf_linkage" else agg.point_matrix(mu, base, squared)
+        return agg.number(agg.greedy_scan(d, n, linkage, counters), n, cut_order)
+    d = agg.condensed_features(found.cf_kind, n, mu, sse, found.cf_factor) if mode == "cf_linkage" else agg.condensed_points(mu, base, squared)
+    run = {"cached": agg.greedy_cached, "chain_matrix": agg.chain_matrix}[search]
     return agg.number(run(d, n, linkage, counters), n, cut_order)
 
 
 def _arrays(table: pa.Table) -> tuple:
     table = table.combine_chunks()
     order = np.argsort(table["cf_id"].to_numpy(), kind="stable")
-    mu = np.array(table["mu"].to_pylist(), float)
+    flat = table["mu"].combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(float)
+    mu = flat.reshape(len(table), -1) if len(table) else flat
     return table["cf_id"].to_numpy()[order], table["n"].to_numpy()[order], (mu[order] if len(mu) else np.zeros((0, 1))), table["sse"].to_numpy()[order]
 
 
@@ -77,8 +87,14 @@ def hierarchy(items: DataFrame, mode: str, search: str, linkage: str | None = No
     """The merge table of items (cf_id 0.., n, mu, sse), built in one task.
 
     The stages before stay parallel: the items are brought together by a shuffle of their own.
-    More than ``limit`` items raise, so an uncompressed table cannot end up in one task.
+    More than ``limit`` items, or a matrix beyond its limit, raise, so an uncompressed table cannot
+    end up in one task, and the search that was asked for is the one that runs.
     """
+    return counted(items, mode, search, linkage, kind, base, cut_order, limit).drop("distances", "cells", "peak_bytes")
+
+
+def counted(items: DataFrame, mode: str, search: str, linkage: str | None = None, kind: str | None = None, base: str = "euclidean", cut_order: str = "height", limit: int = FULL_LIMIT) -> DataFrame:
+    """The same, and in every row what the run evaluated and held: distances, matrix cells, peak bytes."""
     validate(mode, search, linkage, kind, base)
 
     def run(batches):
@@ -88,9 +104,12 @@ def hierarchy(items: DataFrame, mode: str, search: str, linkage: str | None = No
         if sum(map(len, got)) > limit:
             raise ValueError(f"more than {limit} items: compress first")
         _, n, mu, sse = _arrays(pa.Table.from_batches(got))
-        yield merges_batch(solve(n, mu, sse, mode, search, linkage, kind, base, cut_order))
+        counters = agg.Counters()
+        out = merges_batch(solve(n, mu, sse, mode, search, linkage, kind, base, cut_order, counters))
+        values = (counters.distances, counters.cells, counters.peak_bytes)
+        yield pa.RecordBatch.from_arrays([*out.columns, *(pa.array([v] * len(out), pa.int64()) for v in values)], names=[*out.schema.names, "distances", "cells", "peak_bytes"])
 
-    return items.select("cf_id", "n", "mu", "sse").repartition(1).mapInArrow(run, MERGES)
+    return items.select("cf_id", "n", "mu", "sse").repartition(1).mapInArrow(run, COUNTED)
 
 
 def as_items(points: DataFrame) -> DataFrame:

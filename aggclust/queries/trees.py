@@ -150,19 +150,30 @@ t AS (SELECT region, sum(n) AS nn, sum(n * m0) / sum(n) AS c0, sum(n * m1) / sum
 SELECT region, count(*) - 1 AS merges, round(sum(n * ((m0 - c0) * (m0 - c0) + (m1 - c1) * (m1 - c1))), 3) AS heights FROM g JOIN t USING (region) GROUP BY region"""
 
 
+_MODES = (("upgma", "D2", 1.0), ("upgmc", "D0", 1.0), ("ward", "D4", 2.0))
+
+
 def agg_mode_agreement(spark, sf) -> DataFrame:
-    """Aggregation and linkage agree on heights where a linkage has an exact distance of features."""
-    def sums(mode, **how):
-        return tree(spark, sf, mode, "scan", **how).agg(F.sum("height")).first()[0]
+    """The summed heights by aggregation and by linkage, where a linkage has an exact distance of features."""
+    out = None
+    for name, kind, factor in _MODES:
+        a = tree(spark, sf, "cf_aggregation", "scan", kind=kind).agg(F.round(F.sum("height") * factor, 3).alias("aggregation"))
+        b = tree(spark, sf, "cf_linkage", "scan", name).agg(F.round(F.sum("height"), 3).alias("linkage_sum"))
+        row = a.crossJoin(b).select(F.lit(name).alias("linkage"), "aggregation", "linkage_sum")
+        out = row if out is None else out.unionByName(row)
+    return out
 
-    rows = []
-    for name, kind, factor in (("upgma", "D2", 1.0), ("upgmc", "D0", 1.0), ("ward", "D4", 2.0)):
-        a, b = sums("cf_aggregation", kind=kind) * factor, sums("cf_linkage", linkage=name)
-        rows.append((name, abs(a - b) <= 1e-9 * abs(b)))
-    return spark.createDataFrame(rows, "linkage string, agree boolean")
 
+QUERIES["agg_mode_agreement"] = agg_mode_agreement
+SQL["agg_mode_agreement"] = " UNION ALL ".join(
+    f"SELECT '{n}' AS linkage, (SELECT * FROM ({by_features(NATION2, k)} SELECT round(sum(height) * {f}, 3) FROM merges)) AS aggregation, "
+    f"(SELECT * FROM ({by_recurrence(NATION2, f'{link.LINKAGES[n].cf_factor} * ({_FORM[k].format(g=_G)})', n)} SELECT round(sum(height), 3) FROM merges)) AS linkage_sum"
+    for n, k, f in _MODES
+)
 
-QUERIES["agg_mode_agreement"], SQL["agg_mode_agreement"] = agg_mode_agreement, "SELECT * FROM (VALUES ('upgma', true), ('upgmc', true), ('ward', true)) AS v(linkage, agree)"
+# Linkages by definition alone, on the nations' centres: no recurrence, hence no SQL.
+for _n in link.BY_DEFINITION:
+    QUERIES[f"agg_full_{_n}"] = lambda spark, sf, n=_n: out(tree(spark, sf, "full", "scan", n))
 
 
 def seed_mismatch(spark, sf) -> DataFrame:
@@ -219,6 +230,35 @@ QUERIES["cluster_cfs"] = lambda spark, sf: _clusters(spark, sf).select("cluster"
 SQL["cluster_cfs"] = _PER + "SELECT cluster, round(n, 5) AS n, round(m0, 5) AS mu0, round(m1, 5) AS mu1, round(sse, 3) AS sse FROM s"
 QUERIES["rmsd_hier_ward"] = lambda spark, sf: quality.rmsd(_clusters(spark, sf)).select(F.round("rmsd", 5).alias("rmsd"), "k")
 SQL["rmsd_hier_ward"] = _PER + "SELECT round(sqrt(sum(sse) / sum(n)), 5) AS rmsd, count(*) AS k FROM s"
+
+
+def rmsd_cf_vs_points(spark, sf) -> DataFrame:
+    """RMSD of five clusters of nations from features, and from the customers themselves."""
+    cut = hier.cut_k(ward(spark, sf), 5)
+    c = T(spark, sf, "customer").select(F.col("c_custkey").alias("id"), F.col("c_nationkey").cast("long").alias("cf_id"), F.array(F.col("c_acctbal") / 1000, F.col("c_custkey") / 1000).alias("vec"))
+    points = quality.rmsd_from_points(c.select("id", "vec"), hier.label_points(c.select("id", "cf_id"), cut), 2)
+    return quality.rmsd(hier.cluster_cfs(items(spark, sf), cut, 2)).select(F.round("rmsd", 5).alias("by_features")).crossJoin(points.select(F.round("rmsd", 5).alias("by_points")))
+
+
+QUERIES["rmsd_cf_vs_points"] = rmsd_cf_vs_points
+SQL["rmsd_cf_vs_points"] = _PER + """, p AS (SELECT cluster, c_acctbal / 1000 AS x, c_custkey / 1000.0 AS y FROM customer JOIN labels ON c_nationkey = item),
+q AS (SELECT count(*) * (var_pop(x) + var_pop(y)) AS sse, count(*) AS n FROM p GROUP BY cluster)
+SELECT (SELECT round(sqrt(sum(sse) / sum(n)), 5) FROM s) AS by_features, (SELECT round(sqrt(sum(sse) / sum(n)), 5) FROM q) AS by_points"""
+
+
+def w6_nations(spark, sf) -> DataFrame:
+    """No compression below the cap: RMSD at five clusters of the nations' centres, on them and through a tree."""
+    p = items(spark, sf).select(F.col("cf_id").alias("id"), F.col("mu").alias("vec"), F.lit(1.0).alias("w"))
+    found = None
+    for mode in ("full", "cf_linkage"):
+        it, merges = pl.cluster(p, 2, mode, "cached", "ward", max_leaves=1000)
+        row = quality.rmsd(hier.cluster_cfs(it, hier.cut_k(merges, 5), 2)).select(F.lit(mode).alias("mode"), F.round("rmsd", 5).alias("rmsd"))
+        found = row if found is None else found.unionByName(row)
+    return found
+
+
+QUERIES["w6_nations"] = w6_nations
+SQL["w6_nations"] = _PER.replace(NATION2, _ONES) + "SELECT unnest(['full', 'cf_linkage']) AS mode, round(sqrt(sum(sse) / sum(n)), 5) AS rmsd FROM s"
 QUERIES["sweep_k"] = lambda spark, sf: hier.sweep_k(ward(spark, sf), [1, 2, 5, 10, 25]).groupBy("k").agg(F.countDistinct("cluster").alias("clusters"), F.count("*").alias("items"))
 SQL["sweep_k"] = "SELECT CAST(k AS INTEGER) AS k, CAST(k AS BIGINT) AS clusters, CAST(25 AS BIGINT) AS items FROM (VALUES (1), (2), (5), (10), (25)) AS v(k)"
 QUERIES["merge_overlap"] = lambda spark, sf: hier.merge_overlap(ward(spark, sf), tree(spark, sf, "cf_linkage", "scan", "ward"))

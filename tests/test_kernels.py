@@ -106,3 +106,131 @@ def test_cut_labels():
     rows = agg.number(agg.greedy_scan(agg.point_matrix(x), np.ones(5), "single"), np.ones(5))
     assert agg.cut(rows, 5, 3).tolist() == [0, 0, 2, 2, 4]
     assert agg.cut(rows, 5, 1).tolist() == [0] * 5 and agg.cut(rows, 5, 9).tolist() == [0, 1, 2, 3, 4]
+
+
+def brute_chain(m, distance, merge):
+    """The chain in plain loops: distance(i, j) of live clusters, merge(i, j) into i."""
+    alive, path, out = set(range(m)), [], []
+    while len(out) < m - 1:
+        if not path:
+            path = [min(alive)]
+        i = path[-1]
+        best = min((distance(min(i, j), max(i, j)), j) for j in alive if j != i)
+        j = best[1]
+        if len(path) > 1 and distance(min(i, path[-2]), max(i, path[-2])) <= best[0]:
+            j = path[-2]
+        if len(path) > 1 and j == path[-2]:
+            del path[-2:]
+        elif j in path:
+            path = []
+        else:
+            path.append(j)
+            continue
+        a, b = min(i, j), max(i, j)
+        out.append((a, b, distance(a, b)))
+        merge(a, b)
+        alive.discard(b)
+    return out
+
+
+@pytest.mark.parametrize("kind", KINDS)
+def test_chains_of_features_equal_plain_loops(kind):
+    """Also for distances that are not reducible, where a chain's result is its own."""
+    from aggclust.functions.cfdist import squared_to_many
+
+    n, mu, sse = features(30, seed=4)
+    live = [[n[i], mu[i].copy(), sse[i]] for i in range(30)]
+
+    def distance(i, j):
+        (a, x, s), (b, y, t) = live[i], live[j]
+        return float(squared_to_many(kind, a, x, s, np.array([b]), y[:, None], np.array([t]))[0])
+
+    def merge(i, j):
+        (a, x, s), (b, y, t) = live[i], live[j]
+        gap = y - x
+        live[i] = [a + b, x + gap * (b / (a + b)), s + t + a * b / (a + b) * float(gap @ gap)]
+
+    want = brute_chain(30, distance, merge)
+    for search in ("chain_linear", "chain_matrix"):
+        got = agg.agglomerate_cf(n, mu, sse, kind, search)
+        assert [(i, j) for i, j, _ in got] == [(i, j) for i, j, _ in want]
+        assert [h for *_, h in got] == pytest.approx([h for *_, h in want])
+
+
+@pytest.mark.parametrize("name", ["upgmc", "wpgmc", "ward", "upgma"])
+def test_chains_of_matrices_equal_plain_loops(name):
+    d = agg.point_matrix(points(30, seed=6), squared=True)
+    size, live = np.ones(30), d.copy()
+
+    def merge(i, j):
+        live[i] = live[:, i] = link.recur(name, live[i], live[j], live[i, j], size[i], size[j], size)
+        size[i] += size[j]
+
+    want = brute_chain(30, lambda i, j: float(live[i, j]), merge)
+    got = agg.chain_matrix(d, np.ones(30), name)
+    assert [m[:2] for m in got] == [m[:2] for m in want] and [m[2] for m in got] == pytest.approx([m[2] for m in want])
+
+
+@pytest.mark.parametrize("name,kind,factor", [("ward", "D4", 2), ("upgmc", "D0", 1)])
+@pytest.mark.parametrize("shift", [0.0, 1e6])
+def test_the_centres_chain_is_the_chain_of_features(name, kind, factor, shift):
+    n, mu, _ = features(400, seed=8)
+    got = agg.chain_centres(n, mu + shift, name)
+    want = agg.chain_linear(n, mu + shift, np.zeros(400), kind)
+    assert [m[:2] for m in got] == [m[:2] for m in want]
+    assert [m[2] for m in got] == pytest.approx([m[2] * factor for m in want], rel=1e-5)
+
+
+@pytest.mark.parametrize("name", NAMES)
+def test_condensed_matrices_compact_and_agree(name):
+    x = points(300, seed=7)
+    d = agg.point_matrix(x, squared=link.get(name).squared)
+    want = agg.greedy_scan(d, np.ones(300), name)
+    got = agg.greedy_cached(agg.condensed_points(x, squared=link.get(name).squared), np.ones(300), name)
+    assert [m[:2] for m in got] == [m[:2] for m in want] and [m[2] for m in got] == pytest.approx([m[2] for m in want])
+
+
+def test_a_matrix_beyond_its_limit_raises(monkeypatch):
+    monkeypatch.setattr(agg, "MATRIX_BYTES", 10_000)
+    for make in (lambda: agg.Condensed(60), lambda: agg.point_matrix(points(40)), lambda: agg.agglomerate_cf(*features(40), "D4", "scan")):
+        with pytest.raises(ValueError, match="compress first"):
+            make()
+    assert 4 * 25_000 * 24_999 < 3e9
+
+
+@pytest.mark.parametrize("name", link.BY_DEFINITION)
+def test_linkages_by_definition_equal_plain_loops(name):
+    x = points(14, seed=9)
+    d = agg.point_matrix(x)
+    own = np.where(np.isinf(d), 0.0, d)
+    live = {i: [i] for i in range(14)}
+
+    def value(a, b):
+        if name == "minimax":
+            return min(max(own[i][j] for j in a + b) for i in a + b)
+        centre = [min(m, key=lambda i: (sum(own[i][j] for j in m), i)) for m in (a, b)]
+        return own[centre[0]][centre[1]]
+
+    for i, j, h in agg.greedy_definition(d, name):
+        best = min((value(sorted(live[p]), sorted(live[q])), p, q) for p in live for q in live if p < q)
+        assert (i, j) == best[1:] and h == pytest.approx(best[0])
+        live[i] += live.pop(j)
+
+
+def test_jaccard_distance_of_sets():
+    sets = [{1, 2, 3}, {2, 3, 4}, {5}, set()]
+    x = np.array([[float(k in s) for k in range(6)] for s in sets])
+    d = agg.point_matrix(x, "jaccard")
+    for i in range(4):
+        for j in range(4):
+            if i != j:
+                both = sets[i] | sets[j]
+                assert d[i, j] == pytest.approx(1 - (len(sets[i] & sets[j]) / len(both) if both else 1))
+
+
+def test_counters():
+    n, mu, sse = features(50)
+    for run, cells in ((lambda c: agg.chain_centres(n, mu, "ward", c), 0), (lambda c: agg.greedy_cached(agg.condensed_features("D4", n, mu, sse), n, "ward", c), 50 * 49 // 2)):
+        c = agg.Counters()
+        run(c)
+        assert c.distances > 0 and c.cells == cells and c.peak_bytes > 0

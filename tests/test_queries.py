@@ -13,7 +13,7 @@ SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 pytestmark = pytest.mark.skipif(not os.path.isdir(SF), reason="the given tables are not here")
 #: Rounds of joins and repeated runs take long on few cores; the driver runs them too.
-SLOW = {"agg_rounds_ward", "agg_forest_single", "w6_no_compression", "w8_cut_orders", "w9_kmeans", "rmsd_cf_vs_points"}
+SLOW = {"agg_rounds_ward", "agg_forest_single"}
 
 
 @pytest.fixture(scope="module")

@@ -136,3 +136,76 @@ def test_the_limit_of_one_task_is_enforced(spark):
     p = pl.as_items(frame(spark, blobs(30)))
     with pytest.raises(Exception, match="compress first"):
         pl.hierarchy(p, "full", "cached", "ward", limit=10).collect()
+
+
+def one_by_one(x, cap, width, kind, growth="mean"):
+    """Insertion of one point after the other, as plain lists: the tree that blocks of one must give."""
+    t = CFTree(x.shape[1], max_leaves=cap, width=width, route=kind, growth=growth, block=1)
+    t.insert_points(x)
+    return t
+
+
+@pytest.mark.parametrize("kind", ["D0", "D4", "R"])
+def test_blocks_keep_the_invariants_of_single_insertion(kind):
+    x = blobs(3000, seed=3)
+    single = one_by_one(x, 300, 8, kind)
+    blocks = CFTree(3, max_leaves=300, width=8, route=kind)
+    blocks.insert_points(x)
+    for t in (single, blocks):
+        n, mu, sse = t.leaves()
+        w, m, s = whole(n, mu, sse)
+        assert w == 3000 and t.entries <= 300 and m == pytest.approx(x.mean(0)) and s == pytest.approx(((x - x.mean(0)) ** 2).sum())
+        if kind == "R":
+            assert np.sqrt(sse / n).max() <= t.threshold * (1 + 1e-9)
+    # The radius takes whole blobs as one once its threshold reaches their gaps, in either way of inserting.
+    assert kind == "R" or 0.3 < single.entries / blocks.entries < 3
+
+
+def test_every_node_knows_its_children():
+    t = CFTree(3, max_leaves=500, width=5)
+    t.insert_points(blobs(2500, seed=4))
+    rows = t.levels()
+    below = {}
+    for me, parent, *_ in rows[1:]:
+        below.setdefault(parent, []).append(me)
+    at = {r[0]: r for r in rows}
+    for parent, kids in below.items():
+        n, mu, sse = (np.array([at[k][c] for k in kids]) for c in (4, 5, 6))
+        w, m, s = whole(n, mu, sse)
+        assert at[parent][4] == pytest.approx(w) and at[parent][5] == pytest.approx(m) and at[parent][6] == pytest.approx(s)
+        assert len(kids) <= 5
+    assert len({r[2] for r in rows if r[3]}) == 1  # all entries on one level
+
+
+def test_searches_run_as_they_are_named():
+    """At 7000 items, above every earlier switch: a matrix search fills a matrix, a linear one none."""
+    from aggclust.operators.agglomerate import Counters
+
+    r = np.random.default_rng(0)
+    x = r.random((7000, 5)) * 100
+    tops = []
+    for search, cells in (("cached", 7000 * 6999 // 2), ("chain_linear", 0), ("cached_linear", 0)):
+        c = Counters()
+        merges = pl.solve(np.ones(7000), x, np.zeros(7000), "full", search, "ward", counters=c)
+        assert c.cells == cells
+        tops.append(sorted(m[4] for m in merges)[-20:])
+    assert tops[0] == pytest.approx(tops[1]) and tops[0] == pytest.approx(tops[2])
+
+
+def test_runs_in_memory_and_by_operators_agree(spark):
+    """The grid's runs and the operators' give the same measure for the same points; counters reach the record."""
+    x = blobs(150)
+    p = frame(spark, x)
+    for search, mode in (("cached", "full"), ("chain_linear", "full"), ("chain_linear", "cf_linkage")):
+        a = wl.solved(x, np.ones(150), search, mode, "ward", 6, 1000, 0)
+        b = wl.run(p, 3, search, mode, "ward", 6, 1000)
+        assert a["rmsd"] == pytest.approx(b["rmsd"]) and a["leaves"] == b["leaves"] == 150
+        assert b["distances"] > 0 and b["peak_bytes"] > 0 and (b["cells"] > 0) == (search == "cached")
+    assert wl.chosen("cached", "full", 50_000) == "cached_linear" and wl.chosen("cached", "cf_linkage", 25_000) == "cached"
+
+
+def test_labels_without_broadcast(spark, monkeypatch):
+    monkeypatch.setattr(hier, "CAP", 3)
+    assigned = spark.createDataFrame([(i, i % 5) for i in range(20)], "id long, cf_id long")
+    labels = spark.createDataFrame([(i, i // 2) for i in range(5)], "item long, cluster long")
+    assert {r.id: r.cluster for r in hier.label_points(assigned, labels).collect()} == {i: i % 5 // 2 for i in range(20)}
