@@ -215,12 +215,26 @@ def test_embeddings_equal_brute_force(spark):
         least[top(i)] = min(least.get(top(i), 10**9), rows[i][0])
     want = {rows[i][0]: (degree[i], least[top(i)], rows[i][0] == least[top(i)]) for i in range(n)}
     vectors = spark.createDataFrame([(*row, 1) for row in rows], "vec_id long, embedding array<double>, label int, links int")
-    for tile in (4096, 16):
+    for tile in (None, 16):
         got = {x.vec_id: (x.n_links, x.component_id, x.kept) for x in embeddings.near_duplicates(vectors, tile=tile).collect()}
         assert got == want
     assert embeddings.near_duplicates(vectors.limit(0)).count() == 0
 
 
+def test_embeddings_of_repeated_ids_and_dense_groups(spark, monkeypatch):
+    monkeypatch.setattr(embeddings, "PRODUCTS", 50)
+    monkeypatch.setattr(embeddings, "PAIRS", 7)
+    base = [1.0, 2.0, 3.0, 4.0]
+    rows = [(i, [x + 0.001 * ((i * k) % 5) for k, x in enumerate(base)], 1) for i in range(60)] + [(7, [-1.0, 0.0, 0.0, 0.0], 1), (61, [-1.0, 0.001, 0.0, 0.0], 1), (61, [-1.0, 0.001, 0.0, 0.0], 1)]
+    vectors = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int")
+    got = collections.Counter((x.vec_id, x.n_links, x.component_id) for x in embeddings.near_duplicates(vectors).collect())
+    # Id 7 has a vector in either group: two vectors, each in its own component.
+    assert sum(got.values()) == 63 and got[(7, 59, 0)] == 1 and got[(7, 2, 7)] == 1 and got[(61, 2, 7)] == 2
+    assert all(got[(i, 59, 0)] == 1 for i in range(60))
+    one = spark.createDataFrame([(1, base, 1), (1, base[::-1], 1), (2, base, 1)], "vec_id long, embedding array<float>, label int")
+    assert sorted(map(tuple, embeddings.near_duplicates(one).collect())) == [(1, 0, 1, True), (1, 1, 1, True), (2, 1, 1, False)]
+
+
 def test_quantisation_bound_is_rigorous():
     r = np.random.default_rng(1)
     u = r.normal(size=(200, 64))
