@@ -55,8 +55,9 @@ def solve(n: np.ndarray, mu: np.ndarray, sse: np.ndarray, mode: str, search: str
         return agg.number(agg.greedy_definition(agg.point_matrix(mu, base), linkage, counters), n, cut_order)
     found = link.get(linkage)
     squared = found.squared or base == "sqeuclidean" or mode == "cf_linkage"
-    if search == "chain_linear" and linkage in ("ward", "upgmc"):
-        return agg.number(agg.chain_centres(n, mu, linkage, counters), n, cut_order)
+    if search in LINEAR and linkage in ("ward", "upgmc"):
+        run = agg.chain_centres if search == "chain_linear" else agg.greedy_centres
+        return agg.number(run(n, mu, linkage, counters), n, cut_order)
     if search in LINEAR:
         feature, factor = GEOMETRIC[linkage]
         run = agg.greedy_linear if search == "cached_linear" else agg.chain_linear

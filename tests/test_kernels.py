@@ -181,6 +181,19 @@ def test_the_centres_chain_is_the_chain_of_features(name, kind, factor, shift):
     assert [m[2] for m in got] == pytest.approx([m[2] * factor for m in want], rel=1e-5)
 
 
+@pytest.mark.parametrize("name,kind", [("ward", "D4"), ("upgmc", "D0")])
+@pytest.mark.parametrize("weighted", [False, True])
+def test_the_centres_greedy_is_the_scan(name, kind, weighted):
+    n, mu, _ = features(250, seed=11)
+    n = n if weighted else np.ones(250)
+    d = squared_matrix(kind, n, mu, np.zeros(250)) * link.get(name).cf_factor
+    got, want = agg.greedy_centres(n, mu + 1e4, name), agg.greedy_scan(d, n, name)
+    assert [m[:2] for m in got] == [m[:2] for m in want] and [m[2] for m in got] == pytest.approx([m[2] for m in want])
+    grid = np.array([[i, j] for i in range(6) for j in range(6)], float)  # ties everywhere
+    got = agg.greedy_centres(np.ones(36), grid, name)
+    assert len(got) == 35 and got[0][:2] == (0, 1) and len({m[1] for m in got}) == 35
+
+
 @pytest.mark.parametrize("name", NAMES)
 def test_condensed_matrices_compact_and_agree(name):
     x = points(300, seed=7)
