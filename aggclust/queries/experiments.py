@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+import uuid
+
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from aggclust.functions import features as ft
@@ -11,7 +13,7 @@ from aggclust.operators import hierarchy as hier
 from aggclust.operators import quality
 from aggclust.plans import pipeline as pl
 from aggclust.plans import workloads as wl
-from aggclust.queries.basics import L5, LINE5_SQL, T
+from aggclust.queries.basics import FORMS_SQL, L5, LINE5_SQL, PAIR_SQL, T, nation_pair
 from aggclust.sources import points as src
 
 QUERIES: dict = {}
@@ -171,28 +173,44 @@ def w9_kmeans(spark, sf):
 
 # ---- registered functions
 
-@query("udf_cf_merge", "SELECT CAST(3 AS DOUBLE) AS n, CAST(2 AS DOUBLE) AS mu0, CAST(6 AS DOUBLE) AS sse")
-def udf_cf_merge(spark, sf):
+def _pairs_view(spark, sf) -> str:
+    """A view of the nations' pairs of features, with the functions registered."""
     from aggclust.functions.register import register
 
     register(spark)
-    one = "named_struct('n', 1D, 'mu', array(0D), 'sse', 0D)"
-    two = "named_struct('n', 2D, 'mu', array(3D), 'sse', 0D)"
-    return spark.sql(f"SELECT m.n, m.mu[0] AS mu0, m.sse FROM (SELECT cf_merge({one}, {two}) AS m)")
+    view = f"nation_pairs_{uuid.uuid4().hex}"
+    nation_pair(spark, sf).createOrReplaceTempView(view)
+    return view
 
 
-@query("sql_distances", "SELECT CAST(3 AS DOUBLE) AS d0, CAST(3 AS DOUBLE) AS d1, round(sqrt(6), 6) AS d4")
-def sql_distances(spark, sf):
-    from aggclust.functions.register import register
+@query("udf_cf_merge", f"{PAIR_SQL} SELECT k, round(nn, 6) AS n, round((na*a0+nb*b0)/nn, 6) AS mu0, round((na*a1+nb*b1)/nn, 6) AS mu1, round(su, 3) AS sse FROM e")
+def udf_cf_merge(spark, sf):
+    return spark.sql(f"SELECT k, round(m.n, 6) AS n, round(m.mu[0], 6) AS mu0, round(m.mu[1], 6) AS mu1, round(m.sse, 3) AS sse FROM (SELECT k, cf_merge(a, b) AS m FROM {_pairs_view(spark, sf)})")
 
-    register(spark)
-    a, b = "named_struct('n', 1D, 'mu', array(0D), 'sse', 0D)", "named_struct('n', 2D, 'mu', array(3D), 'sse', 0D)"
-    return spark.sql(f"SELECT cf_d0({a}, {b}) AS d0, cf_d1({a}, {b}) AS d1, round(cf_d4({a}, {b}), 6) AS d4")
+
+@query("sql_distances", f"{PAIR_SQL} SELECT k, {', '.join(f'round({FORMS_SQL[k]}, 6) AS {k.lower()}' for k in FORMS_SQL)} FROM e")
+def sql_distances(spark, sf):
+    return spark.sql(f"SELECT k, {', '.join(f'round(cf_{k.lower()}(a, b), 6) AS {k.lower()}' for k in FORMS_SQL)} FROM {_pairs_view(spark, sf)}")
 
 
-@query("udtf_merges", "SELECT * FROM (VALUES (0, 0, 1, CAST(0.5 AS DOUBLE)), (1, 2, 3, CAST(54 AS DOUBLE))) AS v(step, a, b, height)")
+@query("udtf_merges", "SELECT s_nationkey AS k, CAST(0 AS INTEGER) AS step, CAST(0 AS INTEGER) AS a, CAST(1 AS INTEGER) AS b, round((max(s_acctbal) - min(s_acctbal)) * (max(s_acctbal) - min(s_acctbal)) / 2, 3) AS height FROM supplier GROUP BY s_nationkey")
 def udtf_merges(spark, sf):
+    """The merge of each nation's least and greatest account, by the table function."""
     from aggclust.functions.register import register
 
     register(spark)
-    return spark.sql("SELECT step, a, b, round(height, 6) AS height FROM merge_steps(array(array(0D), array(1D), array(9.5D)), 'D4')")
+    view = f"ends_{uuid.uuid4().hex}"
+    T(spark, sf, "supplier").groupBy(F.col("s_nationkey").alias("k")).agg(F.min("s_acctbal").alias("lo"), F.max("s_acctbal").alias("hi")).createOrReplaceTempView(view)
+    return spark.sql(f"SELECT v.k, t.step, t.a, t.b, round(t.height, 3) AS height FROM {view} v, LATERAL merge_steps(array(array(v.lo), array(v.hi)), 'D4') t")
+
+
+@query("agg_full_jaccard")
+def agg_full_jaccard(spark, sf):
+    """Complete linkage of users by the Jaccard distance of the kinds of their events, as weights."""
+    kinds = sorted(r[0] for r in T(spark, sf, "events").select("event_type").distinct().where("event_type IS NOT NULL").collect())
+    counts = [F.sum(F.when(F.col("event_type") == k, 1.0).otherwise(0.0)) for k in kinds]
+    per = T(spark, sf, "events").where("user_id IS NOT NULL").groupBy("user_id").agg(F.array(*counts).alias("vec"))
+    ident = F.row_number().over(Window.orderBy("user_id")).cast("long") - 1  # users of a hierarchy in one task, hence bounded
+    points = per.select(ident.alias("id"), "vec", F.lit(1.0).alias("w"))
+    merges = pl.hierarchy(pl.as_items(points), "full", "cached", "complete", base="jaccard")
+    return merges.select("step", F.least("left", "right").alias("a"), F.greatest("left", "right").alias("b"), F.round("height", 6).alias("height"), "size")
