@@ -63,8 +63,9 @@ def per_document(
 
 
 def plan_bytes(df: DataFrame) -> int:
-    """Bytes of ``df`` by Spark's own estimate, for a scan the size of its files; nothing is read."""
-    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    """Bytes of ``df`` by Spark's own estimate, for a scan the size of its files; nothing is read.  0 where Spark does not know."""
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return size if size < 1 << 60 else 0
 
 
 def shared_folder(spark: SparkSession) -> None:

@@ -2,7 +2,13 @@
 
 Every stage works on all that its predecessor kept, and all but the last return the columns of
 ``documents``.  ``run`` writes each stage's rows as Parquet into the cluster's shared checkpoint
-folder and reads them back, so a lost executor costs at most one stage's work.
+folder and reads them back, so a lost executor costs at most one stage's work; a stage's folder
+goes once the next stage is written, and the last one stays with the result.
+
+Defined cases: a null text is scored, compared and encoded as an empty one and stays null until
+then; a null source is a source of its own; repeated rows and copies leave one row; a null id is
+known by its text; other columns, whatever their names, pass through all stages but the last; where
+one class has no labels, all documents pass or none; empty tables give no rows.
 """
 
 from __future__ import annotations
@@ -55,11 +61,19 @@ STAGES = [
 ORACLE_SQL = None
 
 
+def _remove(spark: SparkSession, path: str) -> None:
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     shared_folder(spark)
     folder = f"{spark.sparkContext.getCheckpointDir()}/pipeline-{uuid.uuid4().hex}"
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for name, stage in STAGES:
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
         docs = spark.read.parquet(f"{folder}/{name}")
+        if before is not None:
+            _remove(spark, f"{folder}/{before}")
+        before = name
     return docs

@@ -135,6 +135,18 @@ def test_quality_learns_from_whole_texts(spark):
     assert sum(a == b for a, b in got) >= 57
 
 
+def test_long_texts_and_repeated_rows(spark):
+    from aggclust.llm import pii
+
+    long = "plain words 10.0.0.7 and a.b@example.com, " * 8000
+    docs = spark.createDataFrame([(1, long, "s"), (1, long, "s"), (2, "", "s"), (3, long[1:], None)], "doc_id long, text string, size string")
+    prints = sorted((x.doc_id, x.n_chars, x.near_next) for x in fingerprints.with_next(docs).collect())
+    assert [p[:2] for p in prints] == [(1, len(long)), (1, len(long)), (2, 0), (3, len(long) - 1)]
+    assert sorted(x.size for x in sharding.shard(docs).collect()) == [1, len(long), len(long) + 1, len(long) + 1]
+    spans = [(x.doc_id, x.n_email, x.n_ip, x.spans) for x in pii.pii(docs).collect()]
+    assert sorted(s[:3] for s in spans) == [(1, 8000, 8000), (1, 8000, 8000), (2, 0, 0), (3, 8000, 8000)] and len(set(spans)) == 3
+
+
 def test_pipeline_of_odd_rows(spark, tmp_path):
     """Null and empty texts, null sources, repeated rows, a clashing column; and no rows at all."""
     pipeline = pytest.importorskip("corpus_pipeline")
