@@ -89,10 +89,17 @@ def cf_merge_agg(df: DataFrame, keys: list[str], d: int, col: str = "cf", strate
     """Merge the features of each group.
 
     ``twopass`` takes the weighted mean first and then the deviations from it, both as plain
-    aggregations with map-side combining; ``fold`` merges an array of features one by one and
-    suits groups that are known to be small.
+    aggregations with map-side combining; ``arrow`` first merges the features of a key within each
+    Arrow batch, in NumPy, and does the same with what is left, so only a feature per key and
+    batch is shuffled; ``fold`` merges an array of features one by one and suits groups that are
+    known to be small.
     """
     c = F.col(col)
+    if strategy == "arrow":
+        named = [f"`{k}`" for k in keys]
+        picked = df.select(*named, c["n"].alias("_n"), c["mu"].alias("_mu"), c["sse"].alias("_sse"))
+        partial = picked.mapInArrow(_merged_batches(len(keys), d), picked.schema)
+        return cf_merge_agg(partial.select(*named, cf(F.col("_n"), F.col("_mu"), F.col("_sse")).alias(col)), keys, d, col)
     if strategy == "fold":
         merged = F.reduce(F.slice(F.col("_all"), 2, F.size("_all")), F.element_at("_all", 1), cf_merge)
         return df.groupBy(*keys).agg(F.array_sort(F.collect_list(c)).alias("_all")).select(*keys, merged.alias(col))
@@ -100,12 +107,40 @@ def cf_merge_agg(df: DataFrame, keys: list[str], d: int, col: str = "cf", strate
         raise ValueError(f"unknown strategy {strategy}")
     n = F.sum(c["n"])
     means = df.groupBy(*keys).agg(n.alias("_n"), *(F.sum(c["n"] * c["mu"][i] / 1.0).alias(f"_s{i}") for i in range(d)))
-    means = means.select(*keys, "_n", F.array(*(F.col(f"_s{i}") / F.col("_n") for i in range(d))).alias("_mu"))
-    joined = df.join(means, keys) if keys else df.crossJoin(means)
+    # Null keys are a group of their own.
+    means = means.select(*(F.col(k).alias(f"_k{i}") for i, k in enumerate(keys)), "_n", F.array(*(F.col(f"_s{i}") / F.col("_n") for i in range(d))).alias("_mu"))
+    same = [df[k].eqNullSafe(F.col(f"_k{i}")) for i, k in enumerate(keys)]
+    joined = df.join(means, same) if keys else df.crossJoin(means)
     spread = joined.groupBy(*keys, "_n", "_mu").agg(F.sum(c["sse"] + c["n"] * square_norm(gap(c["mu"], F.col("_mu")))).alias("_sse"))
     return spread.select(*keys, cf(F.col("_n"), F.col("_mu"), F.col("_sse")).alias(col))
 
 
+def _merged_batches(keys: int, d: int):
+    """A feature per key and batch from rows (keys, n, mu, sse)."""
+
+    def run(batches):
+        import numpy as np
+        import pyarrow as pa
+
+        for b in batches:
+            if not len(b):
+                continue
+            code = np.zeros(len(b), np.int64)
+            for i in range(keys):
+                values = b.column(i).dictionary_encode(null_encoding="encode").indices.to_numpy(zero_copy_only=False).astype(np.int64)
+                _, code = np.unique(code * (values.max() + 1) + values, return_inverse=True)
+            _, first = np.unique(code, return_index=True)
+            n, sse = (b.column(keys + i).to_numpy(zero_copy_only=False) for i in (0, 2))
+            mu = b.column(keys + 1).flatten().to_numpy(zero_copy_only=False).reshape(len(b), d)
+            total = np.bincount(code, weights=n)
+            mean = np.stack([np.bincount(code, weights=n * x) / total for x in mu.T], 1)
+            spread = np.bincount(code, weights=sse + n * ((mu - mean[code]) ** 2).sum(1))
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(total) + 1) * d, pa.int32()), pa.array(mean.reshape(-1)))
+            yield pa.RecordBatch.from_arrays([*(b.column(i).take(pa.array(first)) for i in range(keys)), pa.array(total), lists, pa.array(spread)], names=b.schema.names)
+
+    return run
+
+
 def naive_agg(df: DataFrame, keys: list[str], cols: list[str], name: str = "nf") -> DataFrame:
     ss = sum((F.sum(F.col(c) * F.col(c)) for c in cols[1:]), F.sum(F.col(cols[0]) * F.col(cols[0])))
     body = F.struct(F.count(F.lit(1)).cast("double").alias("n"), F.array(*(F.sum(c) for c in cols)).alias("ls"), ss.alias("ss"))

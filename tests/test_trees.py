@@ -209,3 +209,17 @@ def test_labels_without_broadcast(spark, monkeypatch):
     assigned = spark.createDataFrame([(i, i % 5) for i in range(20)], "id long, cf_id long")
     labels = spark.createDataFrame([(i, i // 2) for i in range(5)], "item long, cluster long")
     assert {r.id: r.cluster for r in hier.label_points(assigned, labels).collect()} == {i: i % 5 // 2 for i in range(20)}
+
+
+def test_strategies_of_merging_agree(spark):
+    """By two passes, by Arrow batches first, and one after the other; keys may be null."""
+    from aggclust.functions import features as ft
+
+    r = np.random.default_rng(1)
+    rows = [(int(k) if k else None, "ab"[int(k) % 2], (float(n), [float(v) for v in m], float(s))) for k, n, m, s in zip(r.integers(0, 5, 200), r.integers(1, 9, 200), r.normal(size=(200, 2)) + 1e6, r.random(200))]
+    df = spark.createDataFrame(rows, "k int, t string, cf struct<n:double,mu:array<double>,sse:double>").repartition(3)
+    for keys in (["k", "t"], []):
+        found = [sorted(((str([x[c] for c in keys]), x.cf.n, *x.cf.mu, x.cf.sse) for x in ft.cf_merge_agg(df, keys, 2, strategy=s).collect())) for s in ("twopass", "arrow", "fold")]
+        for other in found[1:]:
+            assert [x[0] for x in other] == [x[0] for x in found[0]]
+            assert [x[1:] for x in other] == [pytest.approx(x[1:], rel=1e-6) for x in found[0]]
