@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from aggclust.llm.batches import cut
+from aggclust.llm.batches import cut, release
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -36,3 +36,5 @@ def components(links: DataFrame) -> DataFrame:
             .unionByName(hooked.select(F.col("p").alias("node"), F.col("g").alias("p")))
         )
         point = cut(moves.groupBy("node").agg(F.min("p").alias("p")))
+        del top, grand, seen, hooked, moves
+        release(point.sparkSession)

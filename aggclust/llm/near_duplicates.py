@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from aggclust.llm.batches import cut, documents, slabs
+from aggclust.llm.batches import cut, documents, release, slabs
 from aggclust.llm.components import components
 from aggclust.llm.fingerprints import mix
 from aggclust.llm.shingles import shingles
@@ -308,6 +308,8 @@ def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", leas
     own = own.join(wanted, "node").where("mark = _mark")
     texts = cut(own.groupBy("node").agg(F.first("text").alias("text")))
     registers = cut(texts.mapInArrow(_register, "node long, size long, registers binary"))
+    del filed, heads, own, wanted
+    release(docs.sparkSession)
 
     stars = shared.where("node > head").select(F.col("head").alias("a"), F.col("node").alias("b")).distinct()
     left = registers.select(F.col("node").alias("a"), F.col("registers").alias("left"))
@@ -319,9 +321,12 @@ def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", leas
     ends = ends.join(texts, "node").select("a", "part", "side", "node", "text").repartition("a", "part").sortWithinPartitions("a", "part", "side", "node")
     links = cut(ends.mapInArrow(_stars, "a long, b long, similarity double"))
 
+    del stars, left, right, likely, parts, ends
+    release(docs.sparkSession)
     placed = cut(shared.select("key", "band", "node").join(_classes(links, same), "node", "left").withColumn("component", F.coalesce("component", "node")))
     dealt = _tile_pairs(placed, registers).join(registers.select("node", "registers"), "node").select(*_BLOCK)
     order = _BLOCK[:5]
+    release(docs.sparkSession)
     left = cut(dealt.repartition(*order).sortWithinPartitions(*order, "side", "node").mapInArrow(_surviving(least), BLOCK))
     last = left.join(texts, "node").select(*_BLOCK, "text").repartition(*order).sortWithinPartitions(*order, "side", "node")
     links = links.unionByName(cut(last.mapInArrow(_joining(least), "a long, b long, similarity double")))
