@@ -210,7 +210,7 @@ def agg_full_jaccard(spark, sf):
     kinds = sorted(r[0] for r in T(spark, sf, "events").select("event_type").distinct().where("event_type IS NOT NULL").collect())
     counts = [F.sum(F.when(F.col("event_type") == k, 1.0).otherwise(0.0)) for k in kinds]
     per = T(spark, sf, "events").where("user_id IS NOT NULL").groupBy("user_id").agg(F.array(*counts).alias("vec"))
-    ident = F.row_number().over(Window.orderBy("user_id")).cast("long") - 1  # users of a hierarchy in one task, hence bounded
+    ident = F.row_number().over(Window.orderBy("user_id")).cast("long") - 1  # the users come into one task anyway
     points = per.select(ident.alias("id"), "vec", F.lit(1.0).alias("w"))
-    merges = pl.hierarchy(pl.as_items(points), "full", "cached", "complete", base="jaccard")
+    merges = pl.hierarchy(pl.as_items(points), "full", "cached_linear", "complete", base="jaccard", limit=None)
     return merges.select("step", F.least("left", "right").alias("a"), F.greatest("left", "right").alias("b"), F.round("height", 6).alias("height"), "size")
