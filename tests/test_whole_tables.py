@@ -67,6 +67,21 @@ def test_vector_queries_use_every_row(spark, tmp_path, tile, monkeypatch):
     assert {(r.i, r.rank): r.j for r in run("knn_rank")} == {(i, k + 1): o[k][1] for i, o in enumerate(order) for k in range(3)}
 
 
+def lines_by_flag(spark, folder):
+    """The known triple (0, 1), (0, -1), (4, 0) as means of two, three and four lines of a supplier; another lacks a flag."""
+    rows = [(7, f, 10.0 + x + e, (10.0 + y) * 2085) for f, n, x, y in (("A", 2, 0, 1), ("N", 3, 0, -1), ("R", 4, 4, 0)) for e in np.linspace(-1, 1, n).tolist()]
+    rows += [(8, "A", 1.0, 1.0), (8, "N", 2.0, 2.0)]
+    spark.createDataFrame(rows, "l_suppkey long, l_returnflag string, l_quantity double, l_extendedprice double").write.parquet(f"{folder}/lineitem.parquet")
+
+
+def test_coefficients_of_given_sizes(spark, tmp_path):
+    lines_by_flag(spark, tmp_path)
+    got = {r.linkage: (r.alpha_a, r.alpha_b, r.beta, r.gamma) for r in basics.QUERIES["coefficients"](spark, str(tmp_path)).collect() if r.k == 7}
+    assert set(got) == set(link.LINKAGES)
+    for name, values in got.items():
+        assert values == pytest.approx(link.coefficients(name, 2.0, 3.0, 4.0), abs=1e-6)
+
+
 def test_exploration_uses_whole_tables(spark):
     sf = "/root/testdata/sf0.001"
     if not os.path.isdir(sf):
