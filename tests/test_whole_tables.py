@@ -82,6 +82,12 @@ def test_coefficients_of_given_sizes(spark, tmp_path):
         assert values == pytest.approx(link.coefficients(name, 2.0, 3.0, 4.0), abs=1e-6)
 
 
+def test_inversion_of_given_means(spark, tmp_path):
+    lines_by_flag(spark, tmp_path)
+    got = [tuple(r) for r in basics.QUERIES["inversion_demo"](spark, str(tmp_path)).collect()]
+    assert len(got) == 1 and got[0][:4] == pytest.approx((7, 4.0, 17.0, 16.0), abs=1e-6) and got[0][4] is True
+
+
 def test_exploration_uses_whole_tables(spark):
     sf = "/root/testdata/sf0.001"
     if not os.path.isdir(sf):
