@@ -82,6 +82,13 @@ def test_coefficients_of_given_sizes(spark, tmp_path):
         assert values == pytest.approx(link.coefficients(name, 2.0, 3.0, 4.0), abs=1e-6)
 
 
+def test_last_height_depends_on_the_first_pair(spark, tmp_path):
+    lines_by_flag(spark, tmp_path)
+    far = 17**0.5
+    got = {(r.k, r.first): r.d for r in basics.QUERIES["wpgma_history"](spark, str(tmp_path)).collect()}
+    assert got == pytest.approx({(7, "ab"): far, (7, "ac"): (2 + far) / 2, (7, "bc"): (2 + far) / 2}, abs=1e-6)
+
+
 def test_inversion_of_given_means(spark, tmp_path):
     lines_by_flag(spark, tmp_path)
     got = [tuple(r) for r in basics.QUERIES["inversion_demo"](spark, str(tmp_path)).collect()]
