@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from heapq import heapify, heappop, heappush
 
+import numpy as np
+
 
 def merge_linked(symbols: list[int], ranks: dict[int, int], shift: int, made: int) -> tuple[list[int], int]:
     """Merge ``symbols`` by ``ranks``: (left << shift | right) -> rank; merging makes symbol made + rank.
@@ -46,6 +48,68 @@ def merge_linked(symbols: list[int], ranks: dict[int, int], shift: int, made: in
     return [s for s in sym if s >= 0], merges
 
 
+class Batch:
+    """The merges of ``merge_linked`` for many short pieces side by side.
+
+    In every round each piece merges its lowest pair, the leftmost on ties; pieces without one are
+    done.  Only ranks of pairs next to a merge are looked up again.
+    """
+
+    NONE = (1 << 31) - 1
+
+    def __init__(self, ranks: dict[int, int], shift: int):
+        keys, values = np.fromiter(ranks, np.int64, len(ranks)), np.fromiter(ranks.values(), np.int64, len(ranks))
+        order = np.argsort(keys)
+        self.keys, self.values, self.shift = np.append(keys[order], 1 << 62), np.append(values[order], self.NONE), shift
+
+    def rank(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        key = left << self.shift | right
+        at = np.searchsorted(self.keys, key)
+        return np.where(self.keys[at] == key, self.values[at], self.NONE)
+
+    def merge(self, symbols: np.ndarray, sizes: np.ndarray) -> list[list[int]]:
+        """Symbols left of each piece; ``symbols`` hold the pieces one after the other, none of them empty."""
+        out: list = [None] * len(sizes)
+        piece = np.arange(len(sizes))
+        sym, size = symbols.astype(np.int64), sizes.astype(np.int64)
+        rank = np.full(len(sym), self.NONE, np.int64)  # of each symbol and the next of its piece
+        if len(sym) > 1:
+            rank[:-1] = self.rank(sym[:-1], sym[1:])
+        rank[np.cumsum(size) - 1] = self.NONE
+        while len(piece):
+            begin = np.cumsum(size) - size
+            best = np.minimum.reduceat(rank << 32 | np.arange(len(rank)), begin)
+            low = best >> 32
+            done = low == self.NONE
+            if done.any():
+                for k in np.flatnonzero(done).tolist():
+                    out[piece[k]] = sym[begin[k] : begin[k] + size[k]].tolist()
+                more = np.repeat(~done, size)
+                at = np.cumsum(more) - 1
+                sym, rank = sym[more], rank[more]
+                piece, size, low, best = piece[~done], size[~done], low[~done], best[~done]
+                if not len(piece):
+                    break
+                begin = np.cumsum(size) - size
+                where = at[best & 0xFFFFFFFF]
+            else:
+                where = best & 0xFFFFFFFF
+            sym[where] = low
+            rank[where] = rank[where + 1]
+            kept = np.ones(len(sym), bool)
+            kept[where + 1] = False
+            sym, rank = sym[kept], rank[kept]
+            where = where - np.arange(len(where))  # one symbol went from every piece before
+            size = size - 1
+            begin = begin - np.arange(len(begin))
+            right = where[where + 1 < begin + size]
+            rank[right] = self.rank(sym[right], sym[right + 1])
+            rank[where[where + 1 == begin + size]] = self.NONE
+            left = where[where > begin] - 1
+            rank[left] = self.rank(sym[left], sym[left + 1])
+        return out
+
+
 class TwoPart(dict):
     """A cache of texts bounded in bytes: when half of ``limit`` is new, the older half goes.
 
@@ -61,8 +125,9 @@ class TwoPart(dict):
 
     def __missing__(self, key):
         value = self.older.get(key)
-        if value is None:
-            value = self.make(key)
+        return self.put(key, self.make(key) if value is None else value)
+
+    def put(self, key, value):
         if len(key) > self.LONGEST:
             return value
         cost = 240 + 12 * len(key)
